@@ -102,8 +102,8 @@ class History:
         # every branch below starts from the digests; texts are read and hashed once
         self.changes = written(hist.change_history(spark, sf_dir), "changes")
         self.changed, self.unchanged = split_changed(self.changes)
-        self.advisories = hist.advisories(self.keys)
-        self._survivors = None
+        self.advisories = written(hist.advisories(self.keys), "advisories")
+        self._survivors = self._flawed = self._samples = None
 
     def survivors(self) -> DataFrame:
         if self._survivors is None:
@@ -117,10 +117,14 @@ class History:
         return labelers.label_blanket(self.changed, self.unchanged)
 
     def flawed(self) -> DataFrame:
-        return labelers.label_flawed(self.changed, self.advisories, self.survivors())
+        if self._flawed is None:
+            self._flawed = written(labelers.label_flawed(self.changed, self.advisories, self.survivors()), "flawed")
+        return self._flawed
 
     def samples(self) -> DataFrame:
-        return labelers.build_corpus(self.changes, self.advisories, self.survivors())
+        if self._samples is None:
+            self._samples = written(labelers.samples_of(self.flawed(), self.unchanged), "samples")
+        return self._samples
 
 
 def natural(spark: SparkSession, sf_dir: str, label: str = "quality") -> DataFrame:

@@ -389,7 +389,8 @@ def split_by_quantile(spark: SparkSession, d: str) -> DataFrame:
   select split, min(commit_ts) as lo, max(commit_ts) as hi from c group by 1)
 select (select count(*) from (select commit_id from c group by 1 having count(distinct split) > 1)) as straddling_commits,
 coalesce(((select hi from e where split = 'train') > (select lo from e where split = 'dev'))::int, 0) as train_after_dev,
-coalesce(((select hi from e where split = 'dev') > (select lo from e where split = 'test'))::int, 0) as dev_after_test""")
+coalesce(((select hi from e where split = 'dev') > (select lo from e where split = 'test'))::int, 0) as dev_after_test,
+coalesce(((select hi from e where split = 'train') > (select lo from e where split = 'test'))::int, 0) as train_after_test""")
 def split_invariants(spark: SparkSession, d: str) -> DataFrame:
     return splits.check_split(splits.split_chronological(History(spark, d).samples()))
 

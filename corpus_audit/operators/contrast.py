@@ -23,9 +23,11 @@ def _dot(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
 
 
-def _unit(v: Column) -> Column:
-    norm = F.sqrt(_dot(v, v))
-    return F.when(norm > 0, F.transform(v, lambda x: x / norm)).otherwise(v)
+def _with_unit(df: DataFrame, vector: Column, name: str) -> DataFrame:
+    """df with the unit vector; raw vector and norm are columns first, or each coordinate would compute them again."""
+    normed = df.withColumn("_raw", vector).withColumn("_norm", F.sqrt(_dot(F.col("_raw"), F.col("_raw"))))
+    unit = F.when(F.col("_norm") > 0, F.transform("_raw", lambda x: x / F.col("_norm"))).otherwise(F.col("_raw"))
+    return normed.withColumn(name, unit).drop("_raw", "_norm")
 
 
 def contrastive_loss(vectors: DataFrame, mode: str = "any", tau: float = TAU, p: float = DROP, seed: str = "drop") -> DataFrame:
@@ -34,8 +36,8 @@ def contrastive_loss(vectors: DataFrame, mode: str = "any", tau: float = TAU, p:
     mode "any": every other sample is pushed away; "class_aware": only those with another label. No negatives give
     loss 0. vectors: vec_id, batch_id, embedding, label."""
     base = vectors.select("batch_id", "vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    copies = base.select("batch_id", F.col("vec_id").alias("other"), F.col("label").alias("other_label"), _unit(dropout(F.col("v"), F.col("vec_id"), p, seed)).alias("w"))
-    anchors = base.select("batch_id", "vec_id", "label", _unit(F.col("v")).alias("u"))
+    copies = _with_unit(base, dropout(F.col("v"), F.col("vec_id"), p, seed), "w").select("batch_id", F.col("vec_id").alias("other"), F.col("label").alias("other_label"), "w")
+    anchors = _with_unit(base, F.col("v"), "u").select("batch_id", "vec_id", "label", "u")
     # a batch has a fixed number of members, so this join grows with the rows
     met = anchors.join(copies, "batch_id").select("batch_id", "vec_id", "other", "label", "other_label", (_dot(F.col("u"), F.col("w")) / tau).alias("s"))
     own = F.col("vec_id") == F.col("other")

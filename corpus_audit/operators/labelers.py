@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.text import file_names, identifiers
+from ..plans.materialise import written
 from .dedup import dedup, split_changed
 
 SAMPLE = ["sample_id", "commit_id", "commit_ts", "project_id", "weakness", "file_name", "function_id", "side", "digest", "label"]
@@ -103,17 +104,25 @@ def derive_benign(flawed: DataFrame, unchanged: DataFrame) -> DataFrame:
     return as_samples(flawed, "post", 0).unionByName(as_samples(keep_labelled_commits(unchanged, flawed), "same", 0))
 
 
-def build_corpus(changes: DataFrame, advisories: DataFrame, survivors: DataFrame | None = None) -> DataFrame:
-    """The whole construction: no-op removal, first de-duplication, labelers, second de-duplication, benign samples,
-    removal of benign copies of flawed ones. changes need digests; the result has samples with rules."""
-    changed, unchanged = split_changed(changes)
-    flawed = label_flawed(changed, advisories, survivors)
+def samples_of(flawed: DataFrame, unchanged: DataFrame) -> DataFrame:
+    """Samples of both labels: the flawed, their fixes and the unchanged functions of their commits, each text once,
+    no benign copy of a flawed one. flawed is used several times; give it as a table."""
     marked = as_samples(flawed, "pre", 1).join(flawed.select("commit_id", "file_name", "function_id", "rules"), ["commit_id", "file_name", "function_id"])
     benign = dedup(derive_benign(flawed, unchanged), key="digest", order_by=("commit_ts", "commit_id", "file_name", "function_id", "side"))
     benign = benign.join(marked.select("digest"), "digest", "left_anti").withColumn("rules", F.lit(""))
     return marked.select(*SAMPLE, "rules").unionByName(benign.select(*SAMPLE, "rules"))
 
 
+def build_corpus(changes: DataFrame, advisories: DataFrame) -> DataFrame:
+    """The whole construction: no-op removal, first de-duplication, labelers, second de-duplication, benign samples,
+    removal of benign copies of flawed ones. changes need digests; the result has samples with rules.
+
+    Both labelers branch from the survivors, and the benign side from the flawed, so those two are written."""
+    changed, unchanged = split_changed(changes)
+    survivors = written(dedup(changed, key="pre_digest"), "survivors")
+    return samples_of(written(label_flawed(changed, advisories, survivors), "flawed"), unchanged)
+
+
 def compare_labelers(labelled: dict[str, DataFrame], reference: str) -> DataFrame:
     """labeler, n_flawed, n_overlap (with the reference), pct_in_reference; frames need commit_id, function_id."""
     keys = ["commit_id", "function_id"]
