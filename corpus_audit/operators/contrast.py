@@ -87,10 +87,8 @@ def fit_joint(train: DataFrame, mode: str = "none", lam: float = LAMBDA, epochs:
     a[:] = rng.normal(0, 0.1, width)
     history = []
     use = mode != "none" and lam > 0
-    for epoch in range(epochs):
-        state = (w, a, c)
-
-        def gradients(key, frame: pd.DataFrame, state=state, epoch=epoch) -> pd.DataFrame:
+    def gradients_at(state: tuple, epoch: int):
+        def gradients(key, frame: pd.DataFrame) -> pd.DataFrame:
             w, a, c = state
             frame = frame.sort_values("vec_id")
             x, y = np.stack(frame["embedding"].to_list()).astype(float), frame["label"].to_numpy(float)
@@ -104,19 +102,21 @@ def fit_joint(train: DataFrame, mode: str = "none", lam: float = LAMBDA, epochs:
             if use:
                 extra, more = _contrast_step(x, y, w, mode, tau, p, np.random.default_rng([seed, epoch, int(key[0])]))
                 gw += lam * more
-            return pd.DataFrame({"n": [len(x)], "loss": [loss], "contrast": [extra], "gradient": [np.r_[gw.ravel(), ga, gc].tolist()]})
+            return pd.DataFrame({"gradient": [np.r_[gw.ravel(), ga, gc, len(x), loss, extra].tolist()]})
 
-        parts = train.select("batch_id", "vec_id", "embedding", "label").groupBy("batch_id").applyInPandas(gradients, "n long, loss double, contrast double, gradient array<double>")
-        # element-wise sums on the cluster: the driver gets one vector an epoch
-        size = dim * width + width + 1
-        total = parts.agg(F.sum("n").alias("n"), F.sum("loss").alias("loss"), F.sum("contrast").alias("contrast"))
+        return gradients
+
+    for epoch in range(epochs):
+        parts = train.select("batch_id", "vec_id", "embedding", "label").groupBy("batch_id").applyInPandas(gradients_at((w, a, c), epoch), "gradient array<double>")
+        # element-wise sums on the cluster: the driver gets one vector an epoch, with counts and losses behind it
         summed = parts.select(F.posexplode("gradient").alias("i", "g")).groupBy("i").agg(F.sum("g").alias("g"))
-        t = total.first()
-        g = np.zeros(size)
+        total = np.zeros(dim * width + width + 4)
         for r in summed.collect():
-            g[r["i"]] = r["g"] / t["n"]
+            total[r["i"]] = r["g"]
+        n, loss, extra = total[-3:]
+        g = total[:-3] / n
         w, a, c = w - rate * g[: dim * width].reshape(dim, width), a - rate * g[dim * width : -1], c - rate * g[-1]
-        history.append((epoch, t["loss"] / t["n"], t["contrast"] / t["n"]))
+        history.append((epoch, float(loss / n), float(extra / n)))
     return {"w": w, "a": a, "c": float(c), "history": history}
 
 

@@ -16,7 +16,7 @@ from ..sources.tables import TABLES
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """events as a stream; ts becomes a session timestamp, which watermarks need."""
-    raw = spark.readStream.schema(TABLES["events"]).parquet(f"{sf_dir}/events.parquet")
+    raw = spark.readStream.schema(TABLES["events"]).parquet(f"{sf_dir}/events.parque[t]")  # a glob: a plain path would have to be a folder
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 

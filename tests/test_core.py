@@ -160,7 +160,7 @@ def test_reported_findings():
     new = [r for r in published.DETECTORS if r[2] == "new"]
     wide = {r[0]: r[4] for r in published.DETECTORS if r[2] == "wide"}
     assert all(wide[r[0]] - r[4] > 40 for r in new)
-    assert all(r[7] + r[8] >= 95.04 for r in new)
+    assert all(round(r[7] + r[8], 2) >= 95.04 for r in new)
     assert all(r[3] < published.TEST_BENIGN_SHARE for r in new)
     weights = published.SETTINGS[:5]
     assert all(r[2] > weights[0][2] for r in weights[1:])
