@@ -56,25 +56,26 @@ def render(turns: Column, level: int) -> Column:
     return F.concat(F.lit(HEADS[level]), F.array_join(each, ""))
 
 
-def parse(rendered: Column) -> Column:
-    """The turns that the marks of a rendered string delimit; null entries mean that it isn't well formed."""
-    marks = F.regexp_extract_all(rendered, F.lit(MARK), F.lit(0))
-    parts = F.split(rendered, MARK, -1)
-    level = F.element_at(marks, 1)
-    plain = lambda c: F.when(level == HEADS[1], unescape(c)).otherwise(c)
-    at = F.filter(F.sequence(F.lit(1), F.size(marks)), lambda i: F.array_contains(F.array(*[F.lit(x) for x in (*OPEN.values(), OTHER_OPEN)]), F.element_at(marks, i)))
-
-    def turn(i: Column) -> Column:
-        mark, following = F.element_at(marks, i), F.try_element_at(marks, i + 1)
-        out = F.when(
-            (mark == OTHER_OPEN) & (following == OTHER_NAME) & (F.try_element_at(marks, i + 2) == OTHER_CLOSE),
-            F.struct(plain(F.try_element_at(parts, i + 1)).alias("role"), plain(F.try_element_at(parts, i + 2)).alias("text")),
-        )
+def parse(df: DataFrame, rendered: str, out: str) -> DataFrame:
+    """df with ``out``: the turns that the marks of a rendered string delimit; null entries mean not well formed.
+
+    Marks and parts become columns first: inside the per-turn functions they would be searched again for each turn."""
+    cut = df.withColumn("_marks", F.regexp_extract_all(rendered, F.lit(MARK), F.lit(0))).withColumn("_parts", F.split(rendered, MARK, -1))
+    marks, parts = F.col("_marks"), F.col("_parts")
+    n = F.size(marks)
+    padded = F.concat(marks, F.array(F.lit(""), F.lit("")))
+    zipped = F.arrays_zip(marks.alias("m"), F.slice(padded, F.lit(2), n).alias("m2"), F.slice(padded, F.lit(3), n).alias("m3"), F.slice(parts, F.lit(2), n).alias("p"), F.slice(F.concat(parts, F.array(F.lit(""))), F.lit(3), n).alias("p2"))
+    cut = cut.withColumn("_zip", zipped).withColumn("_level", F.try_element_at(marks, F.lit(1)))
+    plain = lambda c: F.when(F.col("_level") == HEADS[1], unescape(c)).otherwise(c)
+    opens = F.filter("_zip", lambda x: x["m"].isin(*OPEN.values(), OTHER_OPEN))
+
+    def turn(x: Column) -> Column:
+        out = F.when((x["m"] == OTHER_OPEN) & (x["m2"] == OTHER_NAME) & (x["m3"] == OTHER_CLOSE), F.struct(plain(x["p"]).alias("role"), plain(x["p2"]).alias("text")))
         for role, sign in OPEN.items():
-            out = out.when((mark == sign) & (following == CLOSE[role]), F.struct(F.lit(role).alias("role"), plain(F.try_element_at(parts, i + 1)).alias("text")))
+            out = out.when((x["m"] == sign) & (x["m2"] == CLOSE[role]), F.struct(F.lit(role).alias("role"), plain(x["p"]).alias("text")))
         return out
 
-    return F.when(F.size(marks) > 1, F.transform(at, turn)).otherwise(F.array().cast(TURNS))
+    return cut.withColumn(out, F.transform(opens, turn)).drop("_marks", "_parts", "_zip", "_level")
 
 
 def format_conversations(conversations: DataFrame) -> DataFrame:
@@ -85,10 +86,10 @@ def format_conversations(conversations: DataFrame) -> DataFrame:
         .agg(F.sort_array(F.collect_list(row)).alias("rows"))
         .select("conv_id", F.transform("rows", lambda r: F.struct(r["role"].alias("role"), r["text"].alias("text"))).alias("source"))
     )
-    plain = source.withColumn("formatted", render(F.col("source"), 0))
-    checked = plain.withColumn("level", F.when(F.coalesce(parse(F.col("formatted")) == F.col("source"), F.lit(False)), 0).otherwise(1))
+    first = parse(source.withColumn("formatted", render(F.col("source"), 0)), "formatted", "turns")
+    checked = first.withColumn("level", F.when(F.coalesce(F.col("turns") == F.col("source"), F.lit(False)), 0).otherwise(1))
     final = checked.withColumn("formatted", F.when(F.col("level") == 0, F.col("formatted")).otherwise(render(F.col("source"), 1)))
-    read = final.withColumn("turns", parse(F.col("formatted")))
+    read = parse(final.drop("turns"), "formatted", "turns")
     return read.select("conv_id", "formatted", "level", "turns", (F.col("turns") == F.col("source")).alias("intact"))
 
 
