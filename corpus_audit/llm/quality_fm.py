@@ -79,7 +79,10 @@ class Machine:
         squares = np.add.reduceat(vx * vx, cuts)
         return self.w0 + np.add.reduceat(self.w[at] * x, cuts) + 0.5 * (sums**2 - squares).sum(1)
 
-    def train(self, rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, epochs: int = 6, rate: float = 0.02, batch: int = 256, shrink: float = 1e-5, seed: int = 7) -> Machine:
+    def train(self, rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, epochs: int = 6, rate: float = 0.02, batch: int = 256, least_steps: int = 600, shrink: float = 1e-3, seed: int = 7) -> Machine:
+        """Small samples take smaller batches and more epochs, so that the parameters move far enough."""
+        batch = max(16, min(batch, len(rows) // 16))
+        epochs = max(epochs, -(-least_steps * batch // len(rows)))
         rng = np.random.default_rng(seed)
         rate_of_ones = np.clip(labels.mean(), 1e-3, 1 - 1e-3)
         self.w0 = float(np.log(rate_of_ones / (1 - rate_of_ones)))
