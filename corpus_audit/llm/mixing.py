@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import n_words, written
+from .common import WORD_GAP, n_words, written
 
 GOLD, CYCLE = 2654435769, 4294967296  # fixed values: 2^32 over the golden ratio, and 2^32
 BLOCK = 128
@@ -116,11 +116,14 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The mix as documents: a row for each walk of a document, the last cut to the words taken.
 
     Rows repeated in the input (same doc_id and text) all take what the first of them takes."""
-    taken = mix(docs, **options).where(F.col("taken") > 0).groupBy("mix_key").agg(F.max("taken").alias("taken"), F.max("size").alias("size"))
-    keyed = docs.withColumn("mix_key", F.md5(F.concat_ws("\n", F.col("doc_id").cast("string"), F.coalesce("text", F.lit("")))))
-    both = keyed.join(taken, "mix_key").withColumn("walk", F.explode(F.sequence(F.lit(0), F.floor((F.col("taken") - 1) / F.col("size")).cast("int"))))
-    left = F.col("taken") - F.col("walk") * F.col("size")
-    words = F.filter(F.split("text", "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
-    text = F.when(left >= F.col("size"), F.col("text")).otherwise(F.array_join(F.slice(words, 1, left.cast("int")), " "))
-    out = both.withColumn("text", text).withColumn("n_chars", F.length("text").cast("long"))
+    taken = mix(docs, **options).where(F.col("taken") > 0).groupBy("mix_key").agg(F.max("taken").alias("_taken"), F.max("size").alias("_size"))
+    keyed = docs.withColumn("_mix_key", F.md5(F.concat_ws("\n", F.col("doc_id").cast("string"), F.coalesce("text", F.lit("")))))
+    both = keyed.join(taken.withColumnRenamed("mix_key", "_mix_key"), "_mix_key")
+    both = both.withColumn("_walk", F.explode(F.sequence(F.lit(0), F.floor((F.col("_taken") - 1) / F.col("_size")).cast("int"))))
+    left = F.col("_taken") - F.col("_walk") * F.col("_size")
+    words = F.filter(F.split("text", WORD_GAP), lambda w: w != "")
+    text = F.when(left >= F.col("_size"), F.col("text")).otherwise(F.array_join(F.slice(words, 1, left.cast("int")), " "))
+    out = both.withColumn("text", text)
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.length("text").cast("long"))
     return out.select(*docs.columns)

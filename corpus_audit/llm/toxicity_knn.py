@@ -166,11 +166,12 @@ class Scorer:
 
 def score(docs: DataFrame, model) -> DataFrame:
     """doc_id, score, evidence (nearest example ids, at most 3)."""
-    shared, scorer = Shared(docs.sparkSession, model), Scorer()
+    shared = Shared(docs.sparkSession, (Scorer(), model))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            scores, evidence = scorer(shared.value, batch["text"])
+            scorer, fitted = shared.value
+            scores, evidence = scorer(fitted, batch["text"])
             yield pd.DataFrame({"doc_id": batch["doc_id"], "score": scores, "evidence": evidence})
 
     return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, score double, evidence array<long>")
@@ -183,12 +184,13 @@ def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **optio
 
 def keep_clean(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **options) -> DataFrame:
     """docs without the rows that score at or above the threshold; columns as they came."""
-    scorer, schema = Scorer(), docs.schema
-    shared = Shared(docs.sparkSession, fit(docs, labels, **options))
+    schema = docs.schema
+    shared = Shared(docs.sparkSession, (Scorer(), fit(docs, labels, **options)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            scores, _ = scorer(shared.value, batch.column(batch.schema.names.index("text")).to_pylist())
+            scorer, model = shared.value
+            scores, _ = scorer(model, batch.column(batch.schema.names.index("text")).to_pylist())
             yield batch.filter(pa.array([s < threshold for s in scores], pa.bool_()))
 
     return docs.mapInArrow(run, schema)
