@@ -32,16 +32,19 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 class Shared:
-    """A bounded object broadcast by value, with its classes, so executors need not have this package."""
+    """A bounded object broadcast by value, with its classes, so executors need not have this package.
+
+    A worker process unpacks it once; what the object remembers lasts over that process's tasks."""
 
     def __init__(self, spark: SparkSession, value: object):
         self._packed = spark.sparkContext.broadcast(cloudpickle.dumps(value))
 
     @property
     def value(self):
-        if "_value" not in self.__dict__:
-            self._value = cloudpickle.loads(self._packed.value)
-        return self._value
+        packed = self._packed
+        if "_unpacked" not in packed.__dict__:
+            packed._unpacked = cloudpickle.loads(packed.value)
+        return packed._unpacked
 
 
 def n_words(text: Column) -> Column:
