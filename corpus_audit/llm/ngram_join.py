@@ -8,8 +8,8 @@ choose its own l: a linked pair shares at least min(l, l') prefix members. Docum
 
 Work on classes of equal sets. Per posting list only stars go out first: every class against the list's most
 typical class. Verified stars give components; after that only lists with several components produce further
-pairs, members of the smaller components against the rest, until no unverified candidate joins two components.
-So a group of copies of any size costs stars, not pairs, and no link between components is lost.
+candidates, members of the smaller components against the rest, packed per member and verified block by block. So
+copies that one pivot joins cost stars, no row is made for a pair, and no link between components is lost.
 
 Defined results: null and empty texts have no members, link with nothing and are their own class; fewer words
 than n make one member of the whole sequence; repeated rows get a row each; columns other than doc_id and text
@@ -239,6 +239,60 @@ def _candidates(raw: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     return joined.where((F.col("shared") >= F.least("matches_a", "matches_b")) & fits).select("a", "b")
 
 
+def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int, percent: int, list_part: int = 2_000, per_block: int = 2_000) -> DataFrame:
+    """Links (a, b) between classes of different parts, exactly, without a row for each pair.
+
+    Every class x outside a list's largest part meets the list as packed runs of members. Per x the matches over all
+    its lists are counted; candidates that reach the asked matches and fit in size go, packed by block of classes, to
+    the blocks' sets for verification."""
+    packed = ruled.withColumn("run", F.pmod(F.xxhash64("class_key"), F.ceil(F.count(F.lit(1)).over(Window.partitionBy("member")) / list_part)))
+    packed = packed.groupBy("member", "run").agg(F.first("major").alias("major"), F.collect_list(F.struct("class_key", "part", "size", "matches")).alias("others"))
+    minor = ruled.where("part <> major").select("member", F.col("class_key").alias("x"), F.col("part").alias("part_x"), F.col("size").alias("size_x"), F.col("matches").alias("matches_x"))
+    met = minor.join(packed, "member").select(
+        "x",
+        "matches_x",
+        F.filter(
+            "others",
+            lambda y: (y["part"] != F.col("part_x")) & ((y["part"] == F.col("major")) | (F.col("x") < y["class_key"])) & (F.least(F.col("size_x"), y["size"]) * 100 >= F.greatest(F.col("size_x"), y["size"]) * percent),
+        ).alias("others"),
+    )
+    met = met.where(F.size("others") > 0).select("x", "matches_x", F.transform("others", lambda y: y["class_key"]).alias("y"), F.transform("others", lambda y: y["matches"]).alias("need"))
+    blocks = max(1, math.ceil(classes.count() / per_block))
+
+    def count(key, frame: pd.DataFrame) -> pd.DataFrame:
+        ys, first, times = np.unique(np.concatenate(frame["y"].to_list()), return_index=True, return_counts=True)
+        need = np.minimum(np.concatenate(frame["need"].to_list())[first], int(frame["matches_x"].iloc[0]))
+        ys = ys[times >= need]
+        block = ys % blocks
+        order = np.argsort(block, kind="stable")
+        ys, block = ys[order], block[order]
+        cuts = np.flatnonzero(np.diff(block)) + 1
+        parts = [p for p in np.split(ys, cuts) if len(p)]
+        return pd.DataFrame({"x": np.int64(key[0]), "block": [int(p[0] % blocks) for p in parts], "ys": [p.tolist() for p in parts]}).astype({"x": "int64", "block": "int32", "ys": object})
+
+    asked = written(met.groupBy("x").applyInPandas(count, "x long, block int, ys array<long>"), "ngram-asked")
+    ends = asked.select(F.col("x").alias("class_key")).unionByName(asked.select(F.explode(F.array_distinct("ys")).alias("class_key")).distinct()).distinct()
+    wanted = written(classes.join(ends, "class_key", "left_semi").select(F.col("rep").alias("doc_id"), "class_key"), "ngram-wanted")
+    sets = written(full_sets(docs, wanted, n), "ngram-sets")
+    left = asked.join(sets.select(F.col("class_key").alias("x"), F.col("members").alias("set_x")), "x")
+    right = sets.withColumn("block", F.pmod("class_key", F.lit(blocks)).cast("int"))
+
+    def verify(key, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        known = {k: np.frombuffer(m, np.uint64) for k, m in zip(right["class_key"], right["members"], strict=True)}
+        out = []
+        for x, set_x, ys in zip(left["x"], left["set_x"], left["ys"], strict=True):
+            mine = np.frombuffer(set_x, np.uint64)
+            sizes = np.array([len(known[y]) for y in ys])
+            every = np.concatenate([known[y] for y in ys])
+            hit = mine[np.minimum(np.searchsorted(mine, every), len(mine) - 1)] == every
+            common = np.add.reduceat(hit.astype(np.int64), np.r_[0, np.cumsum(sizes)[:-1]])
+            for i in np.flatnonzero(100 * common >= percent * (len(mine) + sizes - common)):
+                out.append((min(x, ys[i]), max(x, ys[i])))
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return written(left.groupBy("block").cogroup(right.groupBy("block")).applyInPandas(verify, "a long, b long"), "ngram-more")
+
+
 def near_duplicates(docs: DataFrame, n: int = 4, percent: int = 85, frequent_from: int = 16, most_frequent: int = 2_000_000) -> DataFrame:
     """doc_id, n_shingles, class_key, component_id (smallest doc_id reachable by links, itself included)."""
     heavy = frequent_members(docs, n, frequent_from, most_frequent)
@@ -261,18 +315,9 @@ def near_duplicates(docs: DataFrame, n: int = 4, percent: int = 85, frequent_fro
     sized = placed.withColumn("n_part", F.count(F.lit(1)).over(Window.partitionBy("member", "part")))
     ruled = sized.withColumn("major", F.max(F.struct("n_part", "part")).over(whole)["part"]).withColumn("mixed", F.min("part").over(whole) != F.max("part").over(whole))
     # whole parts of a list keep to what they need: sizes let most pairs go before they are made
-    ruled = ruled.where("mixed").join(classes.select("class_key", "size"), "class_key")
-    ruled = written(ruled.select("member", "class_key", "part", "major", "size"), "ngram-mixed")
-    minor = ruled.where("part <> major").select("member", F.col("class_key").alias("x"), F.col("part").alias("part_x"), F.col("size").alias("size_x"))
-    rest = ruled.select("member", F.col("class_key").alias("y"), F.col("part").alias("part_y"), F.col("size").alias("size_y"), F.col("major"))
-    met = minor.join(rest, "member").where(
-        (F.col("part_x") != F.col("part_y"))
-        & ((F.col("part_y") == F.col("major")) | (F.col("x") < F.col("y")))
-        & (F.least("size_x", "size_y") * 100 >= F.greatest("size_x", "size_y") * percent)
-    )
-    cross = _candidates(met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), classes, percent)
-    cross = cross.join(stars, ["a", "b"], "left_anti")
-    more = verified(docs, cross, classes, n, percent)
+    ruled = ruled.where("mixed").join(classes.select("class_key", "size", "matches"), "class_key")
+    ruled = written(ruled.select("member", "class_key", "part", "major", "size", "matches"), "ngram-mixed")
+    more = _between_parts(docs, ruled, classes, n, percent)
     labels = components(links.unionByName(more))
 
     joined = classes.join(labels.withColumnRenamed("node", "class_key"), "class_key", "left").select("class_key", "rep", F.coalesce("label", "class_key").alias("part"))
