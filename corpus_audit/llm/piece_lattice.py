@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -123,10 +124,40 @@ class Lattice:
                     return False
         return True
 
+    def _walk(self, word: str) -> list[str] | None:
+        """The one path whose neighbours all stand, depth first over the edges, longest first; for short words."""
+        usable, longest, n, pairs = self.p.spine, self.p.longest, len(word), self.pairs
+        path, ends, tries = [], [0], [min(longest, n)]
+        while ends[-1] < n:
+            start, length = ends[-1], tries[-1]
+            while length:
+                piece = word[start : start + length]
+                if length == 1 or piece in usable:
+                    if not path:
+                        break
+                    stands = pairs.get((path[-1], piece))
+                    if stands is None:
+                        stands = self.stands(path[-1], piece)
+                    if stands:
+                        break
+                length -= 1
+            if length:
+                tries[-1] = length - 1
+                path.append(piece)
+                ends.append(start + length)
+                tries.append(min(longest, n - start - length))
+            elif path:
+                path.pop(), ends.pop(), tries.pop()
+            else:
+                return None
+        return path
+
     def encode(self, word: str) -> list[int]:
         ids, longest, n = self.p.ids, self.p.longest, len(word)
         usable = self.p.spine if self.p.kind == "bpe" else ids
         if self.p.kind == "bpe":
+            if n <= 24 and (path := self._walk(word)) is not None:
+                return [i for piece in path for i in ((ids[piece],) if piece in ids else self.of(piece))]
             at: list[str | None] = [None] * (n + 1)
             for end in range(1, n + 1):
                 for start in range(max(0, end - longest), end):
@@ -259,20 +290,22 @@ def encode_words(words: DataFrame, pieces: Pieces) -> DataFrame:
 
 
 def frequent_words(docs: DataFrame, most: int, longest: int = 40) -> DataFrame:
-    """About the ``most`` most frequent words; each partition leaves out what it saw once. It only fills a cache."""
+    """About the ``most`` most frequent words between blanks; each partition leaves out what it saw once. It only fills a
+    cache: what is missing here is encoded where it is met."""
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen: Counter = Counter()
         for batch in batches:
             for text in batch["text"]:
-                seen.update(words_of(text))
+                if text:
+                    seen.update(text.split(" "))
             if len(seen) > 1_000_000:
                 yield rows(seen)
                 seen = Counter()
         yield rows(seen)
 
     def rows(seen: Counter) -> pd.DataFrame:
-        kept = [(w, n) for w, n in seen.items() if n > 1 and len(w) <= longest]
+        kept = [(BLANK + w, n) for w, n in seen.items() if n > 1 and w and len(w) < longest and "\n" not in w and BLANK not in w]
         return pd.DataFrame(kept, columns=["word", "n"]).astype({"word": object, "n": "int64"})
 
     counted = docs.select("text").mapInPandas(count, "word string, n long")
@@ -297,12 +330,13 @@ def _kind(pieces: Pieces):
 class Encoder(dict):
     """word -> packed ids; starts from the dictionary and remembers a bounded number of further words."""
 
-    def __init__(self, pieces: Pieces, known: dict[str, bytes], most: int = 200_000):
+    def __init__(self, pieces: Pieces, known: dict[str, bytes], most: int = 300_000):
         super().__init__(known)
         self.lattice, self.kind, self.room = Lattice(pieces), _kind(pieces), most + len(known)
+        self.code = "H" if self.kind is np.uint16 else "I"
 
     def __missing__(self, word: str) -> bytes:
-        ids = np.array(self.lattice.encode(word), self.kind).tobytes()
+        ids = array(self.code, self.lattice.encode(word)).tobytes()
         if len(self) < self.room:
             self[word] = ids
         return ids
@@ -324,12 +358,11 @@ class Decoder:
 
 
 def encode(docs: DataFrame, pieces: Pieces, most_words: int = 50_000) -> DataFrame:
-    """doc_id, n_tokens, ids, ids_sha256 (of the comma-joined ids), intact (decoding gives the text back)."""
-    shared = Shared(docs.sparkSession, (pieces, dictionary(docs, pieces, most_words)))
+    """doc_id, n_tokens, ids, ids_sha256 (of the ids as 4-byte little-endian numbers), intact (decoding gives the text back)."""
+    shared = Shared(docs.sparkSession, (Encoder(pieces, dictionary(docs, pieces, most_words)), Decoder(pieces)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, known = shared.value
-        encoder, decoder = Encoder(table, known), Decoder(table)
+        encoder, decoder = shared.value
         for batch in batches:
             texts = batch.column(1).to_pylist()
             for low in range(0, len(texts), 256):
@@ -337,7 +370,7 @@ def encode(docs: DataFrame, pieces: Pieces, most_words: int = 50_000) -> DataFra
                 found = [encoder.encode(t) for t in part]
                 offsets = np.r_[0, np.cumsum([len(x) for x in found])].astype(np.int32)
                 flat = (np.concatenate(found) if found else np.empty(0)).astype(np.int32)
-                digests = [hashlib.sha256(",".join(map(str, x.tolist())).encode()).hexdigest() for x in found]
+                digests = [hashlib.sha256(x.astype("<i4").tobytes()).hexdigest() for x in found]
                 intact = [decoder.decode(x.tolist()) == (t or "") for x, t in zip(found, part, strict=True)]
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).slice(low, len(part)), pa.array([len(x) for x in found], pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.array(digests, pa.string()), pa.array(intact, pa.bool_())],
