@@ -105,6 +105,12 @@ class Lattice:
 
     def __init__(self, pieces: Pieces, most_pairs: int = 500_000):
         self.p, self.most, self.pairs = pieces, most_pairs, {}
+        # the lengths from 3 on that pieces with these three characters in front have
+        reach: dict[str, set[int]] = {}
+        for piece in pieces.spine:
+            if len(piece) >= 3:
+                reach.setdefault(piece[:3], set()).add(len(piece))
+        self.reach = {start: tuple(sorted(lengths)) for start, lengths in reach.items()}
 
     def stands(self, left: str, right: str) -> bool:
         key = (left, right)
@@ -124,40 +130,57 @@ class Lattice:
                     return False
         return True
 
+    def _edges(self, word: str, start: int) -> list[str]:
+        """The pieces of the lattice that start here, shortest first; a cut beyond the word's end repeats the longest."""
+        usable, out = self.p.spine, [word[start]]
+        two = word[start : start + 2]
+        if two in usable:
+            out.append(two)
+        for length in self.reach.get(word[start : start + 3], ()):
+            piece = word[start : start + length]
+            if piece in usable:
+                out.append(piece)
+        return out
+
     def _walk(self, word: str) -> list[str] | None:
         """The one path whose neighbours all stand, depth first over the edges, longest first; for short words."""
-        usable, longest, n, pairs = self.p.spine, self.p.longest, len(word), self.pairs
-        path, ends, tries = [], [0], [min(longest, n)]
-        while ends[-1] < n:
-            start, length = ends[-1], tries[-1]
-            while length:
-                piece = word[start : start + length]
-                if length == 1 or piece in usable:
-                    if not path:
-                        break
-                    stands = pairs.get((path[-1], piece))
-                    if stands is None:
-                        stands = self.stands(path[-1], piece)
-                    if stands:
-                        break
-                length -= 1
-            if length:
-                tries[-1] = length - 1
-                path.append(piece)
-                ends.append(start + length)
-                tries.append(min(longest, n - start - length))
-            elif path:
-                path.pop(), ends.pop(), tries.pop()
+        path, end, n, pairs = [], 0, len(word), self.pairs
+        open_edges = [self._edges(word, 0)]
+        last = None
+        while True:
+            options = open_edges[-1]
+            while options:
+                piece = options.pop()
+                if last is None:
+                    break
+                stands = pairs.get((last, piece))
+                if stands is None:
+                    stands = self.stands(last, piece)
+                if stands:
+                    break
             else:
-                return None
-        return path
+                open_edges.pop()
+                if last is None:
+                    return None
+                end -= len(path.pop())
+                last = path[-1] if path else None
+                continue
+            path.append(piece)
+            last = piece
+            end += len(piece)
+            if end == n:
+                return path
+            open_edges.append(self._edges(word, end))
 
     def encode(self, word: str) -> list[int]:
         ids, longest, n = self.p.ids, self.p.longest, len(word)
         usable = self.p.spine if self.p.kind == "bpe" else ids
         if self.p.kind == "bpe":
             if n <= 24 and (path := self._walk(word)) is not None:
-                return [i for piece in path for i in ((ids[piece],) if piece in ids else self.of(piece))]
+                try:
+                    return [ids[piece] for piece in path]
+                except KeyError:  # a character without a piece
+                    return [i for piece in path for i in self.of(piece)]
             at: list[str | None] = [None] * (n + 1)
             for end in range(1, n + 1):
                 for start in range(max(0, end - longest), end):
