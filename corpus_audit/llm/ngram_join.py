@@ -239,12 +239,14 @@ def _candidates(raw: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     return joined.where((F.col("shared") >= F.least("matches_a", "matches_b")) & fits).select("a", "b")
 
 
-def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int, percent: int, list_part: int = 2_000, per_block: int = 2_000) -> DataFrame:
+def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int, percent: int, list_part: int = 2_000, per_block: int = 1_500_000, per_chunk: int = 1_500_000) -> DataFrame:
     """Links (a, b) between classes of different parts, exactly, without a row for each pair.
 
     Every class x outside a list's largest part meets the list as packed runs of members. Per x the matches over all
     its lists are counted; candidates that reach the asked matches and fit in size go, packed by block of classes, to
-    the blocks' sets for verification."""
+    the blocks' sets for verification. Blocks hold about ``per_block`` members of sets; the askers of a block are cut
+    into chunks of about ``per_chunk`` members, each of which meets its own copy of the block, so no task's memory
+    grows with the number of askers."""
     packed = ruled.withColumn("run", F.pmod(F.xxhash64("class_key"), F.ceil(F.count(F.lit(1)).over(Window.partitionBy("member")) / list_part)))
     packed = packed.groupBy("member", "run").agg(F.first("major").alias("major"), F.collect_list(F.struct("class_key", "part", "size", "matches")).alias("others"))
     minor = ruled.where("part <> major").select("member", F.col("class_key").alias("x"), F.col("part").alias("part_x"), F.col("size").alias("size_x"), F.col("matches").alias("matches_x"))
@@ -257,7 +259,7 @@ def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int
         ).alias("others"),
     )
     met = met.where(F.size("others") > 0).select("x", "matches_x", F.transform("others", lambda y: y["class_key"]).alias("y"), F.transform("others", lambda y: y["matches"]).alias("need"))
-    blocks = max(1, math.ceil(classes.count() / per_block))
+    blocks = max(1, math.ceil((classes.agg(F.sum("size")).first()[0] or 0) / per_block))
 
     def count(key, frame: pd.DataFrame) -> pd.DataFrame:
         ys, first, times = np.unique(np.concatenate(frame["y"].to_list()), return_index=True, return_counts=True)
@@ -275,7 +277,11 @@ def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int
     wanted = written(classes.join(ends, "class_key", "left_semi").select(F.col("rep").alias("doc_id"), "class_key"), "ngram-wanted")
     sets = written(full_sets(docs, wanted, n), "ngram-sets")
     left = asked.join(sets.select(F.col("class_key").alias("x"), F.col("members").alias("set_x")), "x")
-    right = sets.withColumn("block", F.pmod("class_key", F.lit(blocks)).cast("int"))
+    sizes = asked.join(classes.select(F.col("class_key").alias("x"), "size"), "x").groupBy("block").agg(F.ceil(F.sum("size") / per_chunk).cast("int").alias("chunks"))
+    sizes = written(sizes, "ngram-chunks")
+    left = left.join(sizes, "block").withColumn("chunk", F.pmod(F.xxhash64("x"), F.col("chunks")).cast("int")).drop("chunks")
+    right = sets.withColumn("block", F.pmod("class_key", F.lit(blocks)).cast("int")).join(sizes, "block")
+    right = right.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).drop("chunks")
 
     def verify(key, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         known = {k: np.frombuffer(m, np.uint64) for k, m in zip(right["class_key"], right["members"], strict=True)}
@@ -290,7 +296,7 @@ def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int
                 out.append((min(x, ys[i]), max(x, ys[i])))
         return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
 
-    return written(left.groupBy("block").cogroup(right.groupBy("block")).applyInPandas(verify, "a long, b long"), "ngram-more")
+    return written(left.groupBy("block", "chunk").cogroup(right.groupBy("block", "chunk")).applyInPandas(verify, "a long, b long"), "ngram-more")
 
 
 def near_duplicates(docs: DataFrame, n: int = 4, percent: int = 85, frequent_from: int = 16, most_frequent: int = 2_000_000) -> DataFrame:
