@@ -23,6 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -261,19 +262,58 @@ def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int
     met = met.where(F.size("others") > 0).select("x", "matches_x", F.transform("others", lambda y: y["class_key"]).alias("y"), F.transform("others", lambda y: y["matches"]).alias("need"))
     blocks = max(1, math.ceil((classes.agg(F.sum("size")).first()[0] or 0) / per_block))
 
-    def count(key, frame: pd.DataFrame) -> pd.DataFrame:
-        ys, first, times = np.unique(np.concatenate(frame["y"].to_list()), return_index=True, return_counts=True)
-        need = np.minimum(np.concatenate(frame["need"].to_list())[first], int(frame["matches_x"].iloc[0]))
-        ys = ys[times >= need]
+    def candidates(x: int, matches: int, ys: np.ndarray, need: np.ndarray) -> list[tuple[int, int, np.ndarray]]:
+        ys, first, times = np.unique(ys, return_index=True, return_counts=True)
+        ys = ys[times >= np.minimum(need[first], matches)]
         block = ys % blocks
         order = np.argsort(block, kind="stable")
         ys, block = ys[order], block[order]
-        cuts = np.flatnonzero(np.diff(block)) + 1
-        parts = [p for p in np.split(ys, cuts) if len(p)]
-        return pd.DataFrame({"x": np.int64(key[0]), "block": [int(p[0] % blocks) for p in parts], "ys": [p.tolist() for p in parts]}).astype({"x": "int64", "block": "int32", "ys": object})
+        return [(x, int(p[0] % blocks), p) for p in np.split(ys, np.flatnonzero(np.diff(block)) + 1) if len(p)]
 
-    asked = written(met.groupBy("x").applyInPandas(count, "x long, block int, ys array<long>"), "ngram-asked")
-    ends = asked.select(F.col("x").alias("class_key")).unionByName(asked.select(F.explode(F.array_distinct("ys")).alias("class_key")).distinct()).distinct()
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Batches come sorted by x; an x that a batch does not finish waits for the next one."""
+        waiting: tuple[int, int, list, list] | None = None
+
+        def packed_rows(rows: list[tuple[int, int, np.ndarray]]) -> pa.RecordBatch:
+            cuts = np.r_[0, np.cumsum([len(r[2]) for r in rows])].astype(np.int32)
+            flat = pa.array(np.concatenate([r[2] for r in rows]), pa.int64())
+            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int32()), pa.ListArray.from_arrays(pa.array(cuts), flat)], ["x", "block", "ys"])
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            xs, matches = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            offsets = batch.column(2).offsets.to_numpy()
+            ys, need = batch.column(2).flatten().to_numpy(), batch.column(3).flatten().to_numpy()
+            offsets = offsets - offsets[0]
+            starts = np.r_[0, np.flatnonzero(np.diff(xs)) + 1]
+            rows = []
+            for low, high in zip(starts, np.r_[starts[1:], len(xs)], strict=True):
+                x, part = int(xs[low]), slice(offsets[low], offsets[high])
+                if waiting is not None and waiting[0] != x:
+                    rows += candidates(waiting[0], waiting[1], np.concatenate(waiting[2]), np.concatenate(waiting[3]))
+                    waiting = None
+                if waiting is not None:
+                    waiting[2].append(ys[part])
+                    waiting[3].append(need[part])
+                elif high == len(xs):
+                    waiting = (x, int(matches[low]), [ys[part]], [need[part]])
+                else:
+                    rows += candidates(x, int(matches[low]), ys[part], need[part])
+            if rows:
+                yield packed_rows(rows)
+        if waiting is not None and (rows := candidates(waiting[0], waiting[1], np.concatenate(waiting[2]), np.concatenate(waiting[3]))):
+            yield packed_rows(rows)
+
+    asked = met.repartition("x").sortWithinPartitions("x").mapInArrow(count, "x long, block int, ys array<long>")
+    asked = written(asked, "ngram-asked")
+
+    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            both = np.concatenate((batch.column(0).to_numpy(), batch.column(1).flatten().to_numpy()))
+            yield pa.RecordBatch.from_arrays([pa.array(np.unique(both), pa.int64())], ["class_key"])
+
+    ends = asked.select("x", "ys").mapInArrow(named, "class_key long").distinct()
     wanted = written(classes.join(ends, "class_key", "left_semi").select(F.col("rep").alias("doc_id"), "class_key"), "ngram-wanted")
     sets = written(full_sets(docs, wanted, n), "ngram-sets")
     left = asked.join(sets.select(F.col("class_key").alias("x"), F.col("members").alias("set_x")), "x")
