@@ -243,21 +243,23 @@ def _candidates(raw: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
 def _between_parts(docs: DataFrame, ruled: DataFrame, classes: DataFrame, n: int, percent: int, list_part: int = 2_000, per_block: int = 1_500_000, per_chunk: int = 1_500_000) -> DataFrame:
     """Links (a, b) between classes of different parts, exactly, without a row for each pair.
 
-    Every class x outside a list's largest part meets the list as packed runs of members. Per x the matches over all
-    its lists are counted; candidates that reach the asked matches and fit in size go, packed by block of classes, to
+    Parts are ranked (``rank``: classes in the part, then its label), and in every list the class of the lower part
+    asks, so all shared lists of a pair count for the same asker. Askers meet the list as packed runs of members;
+    those of the list's largest part meet only the runs outside it. Per asker x the matches over all its lists are
+    counted; candidates that reach the asked matches and fit in size go, packed by block of classes, to
     the blocks' sets for verification. Blocks hold about ``per_block`` members of sets; the askers of a block are cut
     into chunks of about ``per_chunk`` members, each of which meets its own copy of the block, so no task's memory
     grows with the number of askers."""
-    packed = ruled.withColumn("run", F.pmod(F.xxhash64("class_key"), F.ceil(F.count(F.lit(1)).over(Window.partitionBy("member")) / list_part)))
-    packed = packed.groupBy("member", "run").agg(F.first("major").alias("major"), F.collect_list(F.struct("class_key", "part", "size", "matches")).alias("others"))
-    minor = ruled.where("part <> major").select("member", F.col("class_key").alias("x"), F.col("part").alias("part_x"), F.col("size").alias("size_x"), F.col("matches").alias("matches_x"))
-    met = minor.join(packed, "member").select(
+    packed = ruled.withColumn("inner", F.col("part") == F.col("major"))
+    packed = packed.withColumn("run", F.pmod(F.xxhash64("class_key"), F.ceil(F.count(F.lit(1)).over(Window.partitionBy("member")) / list_part)))
+    packed = packed.groupBy("member", "run", "inner").agg(F.max("rank").alias("top"), F.collect_list(F.struct("class_key", "rank", "size", "matches")).alias("others"))
+    last = F.max("rank").over(Window.partitionBy("member"))
+    asking = ruled.withColumn("last", last).where(F.col("rank") < F.col("last"))
+    asking = asking.select("member", F.col("class_key").alias("x"), (F.col("part") == F.col("major")).alias("inner_x"), F.col("rank").alias("rank_x"), F.col("size").alias("size_x"), F.col("matches").alias("matches_x"))
+    met = asking.join(packed, "member").where(~(F.col("inner") & F.col("inner_x")) & (F.col("rank_x") < F.col("top"))).select(
         "x",
         "matches_x",
-        F.filter(
-            "others",
-            lambda y: (y["part"] != F.col("part_x")) & ((y["part"] == F.col("major")) | (F.col("x") < y["class_key"])) & (F.least(F.col("size_x"), y["size"]) * 100 >= F.greatest(F.col("size_x"), y["size"]) * percent),
-        ).alias("others"),
+        F.filter("others", lambda y: (F.col("rank_x") < y["rank"]) & (F.least(F.col("size_x"), y["size"]) * 100 >= F.greatest(F.col("size_x"), y["size"]) * percent)).alias("others"),
     )
     met = met.where(F.size("others") > 0).select("x", "matches_x", F.transform("others", lambda y: y["class_key"]).alias("y"), F.transform("others", lambda y: y["matches"]).alias("need"))
     blocks = max(1, math.ceil((classes.agg(F.sum("size")).first()[0] or 0) / per_block))
@@ -357,12 +359,15 @@ def near_duplicates(docs: DataFrame, n: int = 4, percent: int = 85, frequent_fro
     labels = components(links)
 
     # every pair that is left joins two components; the largest component of a list meets only the others
-    placed = lists.join(labels.select(F.col("node").alias("class_key"), "label"), "class_key", "left").select("member", "class_key", F.coalesce("label", "class_key").alias("part"))
+    sizes = labels.groupBy("label").agg(F.count(F.lit(1)).alias("n_label"))
+    parts = labels.join(sizes, "label").select(F.col("node").alias("class_key"), "label", "n_label")
+    part = F.coalesce("label", "class_key")
+    placed = lists.join(parts, "class_key", "left").select("member", "class_key", part.alias("part"), F.struct(F.coalesce("n_label", F.lit(1)).alias("n"), part.alias("part")).alias("rank"))
     sized = placed.withColumn("n_part", F.count(F.lit(1)).over(Window.partitionBy("member", "part")))
     ruled = sized.withColumn("major", F.max(F.struct("n_part", "part")).over(whole)["part"]).withColumn("mixed", F.min("part").over(whole) != F.max("part").over(whole))
     # whole parts of a list keep to what they need: sizes let most pairs go before they are made
     ruled = ruled.where("mixed").join(classes.select("class_key", "size", "matches"), "class_key")
-    ruled = written(ruled.select("member", "class_key", "part", "major", "size", "matches"), "ngram-mixed")
+    ruled = written(ruled.select("member", "class_key", "part", "rank", "major", "size", "matches"), "ngram-mixed")
     more = _between_parts(docs, ruled, classes, n, percent)
     labels = components(links.unionByName(more))
 

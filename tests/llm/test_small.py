@@ -134,6 +134,14 @@ def test_components_equal_brute_force(spark, n, percent, frequent_from):
     assert got == {i: (sizes[i], components[i]) for i in range(len(texts))}
 
 
+def test_matches_of_a_pair_count_together_whichever_side_a_list_prefers(spark):
+    words = [[f"g{group}x{i}" for i in range(11)] for group in range(300)]
+    texts = [" ".join(w[cut:]) for w in words for cut in (0, 1, 2)]
+    got = {r["doc_id"]: r["component_id"] for r in ngram_join.near_duplicates(documents(spark, texts), n=4, percent=85).collect()}
+    # 7 of 8 members and 6 of 7 shared: the middle text links with both others
+    assert got == {i: i - i % 3 for i in range(len(texts))}
+
+
 def test_keep_one_keeps_documents_without_words(spark):
     kept = {r["doc_id"] for r in ngram_join.keep_one(documents(spark, ["a b c d e f", "a b c d e f", None, "", ""]), n=5, percent=80).collect()}
     assert kept == {0, 2, 3, 4}
