@@ -405,16 +405,13 @@ def downsample_benign(spark: SparkSession, d: str) -> DataFrame:
 
 # --- pairs ------------------------------------------------------------------------------------------------------------
 
-SHORT = 1_500
 
-
-def _short_pairs(spark: SparkSession, d: str, h: History) -> tuple[DataFrame, DataFrame]:
-    """(flawed with short texts, their pairs); non-ASCII folded, as DuckDB's distance counts bytes."""
+def _pairs(spark: SparkSession, d: str, h: History) -> tuple[DataFrame, DataFrame]:
+    """(flawed, their pairs), texts of any length; non-ASCII folded, as DuckDB's distance counts bytes."""
     flawed = h.flawed()
-    versions = hist.text_versions(spark, d, flawed).where(F.length("pre_text") <= SHORT)
+    versions = hist.text_versions(spark, d, flawed)
     folded = versions.withColumn("pre_text", pairs.fold_ascii(F.col("pre_text"))).withColumn("post_text", pairs.fold_ascii(F.col("post_text")))
-    short = flawed.join(versions.select("function_id", "revision", "variant"), ["function_id", "revision", "variant"], "left_semi")
-    return short, pairs.build_pairs(short, folded)
+    return flawed, pairs.build_pairs(flawed, folded)
 
 
 PAIRS_SQL = """
@@ -427,22 +424,22 @@ pairs as (select commit_id || ':' || function_id as pair_id, commit_id, commit_t
 
 @query(f"with {H_SQL}, {LABELS_SQL}, {PAIRS_SQL} select pair_id, variant, similarity from pairs")
 def build_pairs(spark: SparkSession, d: str) -> DataFrame:
-    return _short_pairs(spark, d, History(spark, d))[1].select("pair_id", "variant", "similarity")
+    return _pairs(spark, d, History(spark, d))[1].select("pair_id", "variant", "similarity")
 
 
 @query(f"with {SAMPLE_CTES}, {PAIRS_SQL}, {chronological_sql('samples', 'c', 'count(*)')} select split, count(*) as n_pairs, count(distinct commit_id) as n_commits from pairs join (select distinct commit_id, split from c) using (commit_id) group by split")
 def pair_split_stats(spark: SparkSession, d: str) -> DataFrame:
     h = History(spark, d)
     of_commit = splits.split_chronological(h.samples()).select("commit_id", "split").distinct()
-    return pairs.pair_split_stats(_short_pairs(spark, d, h)[1].join(of_commit, "commit_id"))
+    return pairs.pair_split_stats(_pairs(spark, d, h)[1].join(of_commit, "commit_id"))
 
 
 @query(f"""with {SAMPLE_CTES}, {PAIRS_SQL} select case when post_digest is null then 'deleted' when s.sample_id is null then 'fix de-duplicated' else 'too different' end as reason, count(*) as n
 from short f left join samples s on s.sample_id = f.commit_id || ':' || f.function_id || ':post' where f.commit_id || ':' || f.function_id not in (select pair_id from pairs) group by 1""")
 def unpaired_reasons(spark: SparkSession, d: str) -> DataFrame:
     h = History(spark, d)
-    short, found = _short_pairs(spark, d, h)
-    return pairs.unpaired_reasons(short, found, h.samples())
+    flawed, found = _pairs(spark, d, h)
+    return pairs.unpaired_reasons(flawed, found, h.samples())
 
 
 @query()

@@ -1,11 +1,13 @@
 import itertools
+import re
 from datetime import datetime
 
 import pytest
 from pyspark.sql import functions as F
 
-from corpus_audit import published
-from corpus_audit.operators import annotate, contrast, dedup, labelers, leakage, metrics, pairwise, splits
+from corpus_audit import catalogue, published
+from corpus_audit.functions.edit import edit_distance
+from corpus_audit.operators import annotate, contrast, dedup, history, labelers, leakage, metrics, pairwise, splits
 from corpus_audit.plans.prefix import plan_problems, running_before
 
 CHANGE = "commit_id long, commit_ts timestamp_ntz, project_id long, weakness string, file_name string, function_id long, function_name string, pre_digest string, post_digest string"
@@ -139,6 +141,23 @@ def test_capped_miss_rate_falls_with_the_cap_and_ignores_monotone_maps(spark):
     assert got == {r["r_ppm"]: r["fnr"] for r in metrics.miss_rate_at_fpr(mapped, caps).collect()}
 
 
+def test_pairs_cover_long_texts(spark):
+    sf = "/root/testdata/sf0.001"
+    flawed = catalogue.History(spark, sf).flawed()
+    key = ["function_id", "revision", "variant"]
+    wanted = {}
+    for r in flawed.join(history.text_versions(spark, sf, flawed), key).collect():
+        a, b = (None if x is None else re.sub(r"[^\x00-\x7F]", "?", x) for x in (r["pre_text"], r["post_text"]))
+        if a is not None and b is not None and min(len(a), len(b)) >= 0.8 * max(len(a), len(b)):
+            near = 1 - edit_distance(a, b) / max(len(a), len(b))
+            if near >= 0.8:
+                wanted[f"{r['commit_id']}:{r['function_id']}"] = (len(a), near)
+    got = {r["pair_id"]: r["similarity"] for r in catalogue.build_pairs(spark, sf).collect()}
+    assert got == {k: pytest.approx(near, abs=1e-6) for k, (_, near) in wanted.items()}
+    assert any(n > 1_500 for n, _ in wanted.values())
+    assert any(n >= 4_000 for n, _ in wanted.values())
+
+
 def test_pair_outcomes_and_swapping(spark):
     rows = spark.createDataFrame([("a", 1, 0), ("b", 1, 1), ("c", 0, 0), ("d", 0, 1), ("e", 1, 0), ("f", None, 1)], "pair_id string, pred_flawed int, pred_fixed int")
     got = pairwise.pair_outcomes(rows).first()
