@@ -3,7 +3,8 @@
 Slot s of the schedule draws the golden-ratio point u(s) = (s * GOLD mod 2^32) / 2^32; the source whose
 cumulative share interval holds u(s) gets the slot. The r-th slot of a source takes the r-th block of its
 shuffled word stream: its documents in digest order, laid end to end, walked twice at most, cut into blocks of
-``block`` words. Slots beyond a source's target are void; the last block ends at the target.
+``block`` words. Blocks that a source's points did not reach fill slots after the drawn ones, the sources spread
+evenly by a golden stride, so every source takes its whole target. Slots beyond a source's target are void; the last block ends at the target.
 
 All running sums are two-level (sum per hash bucket, sum over buckets, sum inside a bucket), so neither a hot
 source nor the whole schedule ever meets in one task.
@@ -14,6 +15,8 @@ repeated rows count each; an empty table gives no rows. Reruns agree: the order
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -58,16 +61,35 @@ def schedule(spark, targets: DataFrame, block: int = BLOCK, spare: float = 1.02)
     # the sources' table has a row per source: the size of the catalogue, not of the data
     owned = drawn.join(F.broadcast(targets), (F.col("u") >= F.col("low")) & (F.col("u") < F.col("high")))
     owned = owned.select("slot", "source", "target", F.floor(F.col("slot") / SLOT_CHUNK).alias("chunk"))
-    counts = owned.groupBy("source", "chunk").agg(F.count(F.lit(1)).alias("n"))
+    counts = written(owned.groupBy("source", "chunk").agg(F.count(F.lit(1)).alias("n")), "mix-counts")
     ahead = Window.partitionBy("source").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select(F.col("source").alias("s"), F.col("chunk").alias("c"), F.coalesce(F.sum("n").over(ahead), F.lit(0)).alias("before"))
     inside = Window.partitionBy("source", "chunk").orderBy("slot")
     ranked = owned.withColumn("rank", F.row_number().over(inside) - 1)
     joined = ranked.join(offsets, F.col("source").eqNullSafe(F.col("s")) & (F.col("chunk") == F.col("c")))
     numbered = joined.select("slot", "source", "target", (F.col("before") + F.col("rank")).alias("block_no"))
+    numbered = numbered.unionByName(_made_up(spark, targets, counts, slots, block))
     return numbered.where(F.col("block_no") * block < F.floor("target")).select("slot", "source", "block_no", F.least((F.col("block_no") + 1) * block, F.floor("target")).alias("ends"))
 
 
+def _made_up(spark, targets: DataFrame, counts: DataFrame, slots: int, block: int) -> DataFrame:
+    """slot, source, target, block_no of the blocks that the drawn slots lack, on the slots after them."""
+    drawn = counts.groupBy(F.col("source").alias("s")).agg(F.sum("n").alias("drawn"))
+    joined = targets.join(drawn, F.col("source").eqNullSafe(F.col("s")), "left").withColumn("drawn", F.coalesce("drawn", F.lit(0)))
+    lacking = joined.withColumn("lacks", F.greatest(F.lit(0), F.ceil(F.floor("target") / block) - F.col("drawn"))).where("lacks > 0")
+    # a row per source, as above
+    upto = F.sum("lacks").over(Window.orderBy(F.col("source").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0))
+    lacking = written(lacking.select("source", "target", "drawn", (upto - F.col("lacks")).alias("first"), upto.alias("upto")), "mix-lacking")
+    total = lacking.agg(F.coalesce(F.max("upto"), F.lit(0))).first()[0]
+    stride = max(1, total * GOLD // CYCLE)
+    while math.gcd(stride, total) > 1:
+        stride += 1
+    met = spark.range(total).join(F.broadcast(lacking), (F.col("id") >= F.col("first")) & (F.col("id") < F.col("upto")))
+    # the stride shares no divisor with the total, so every slot is used once
+    slot = (slots + (F.col("id").cast("decimal(20,0)") * stride % max(1, total))).cast("long")
+    return met.select(slot.alias("slot"), "source", "target", (F.col("drawn") + F.col("id") - F.col("first")).alias("block_no"))
+
+
 def placed(docs: DataFrame) -> DataFrame:
     """docs with size, and begin: the offset of each document in its source's shuffled word stream."""
     keyed = docs.withColumn("mix_key", F.md5(F.concat_ws("\n", F.col("doc_id").cast("string"), F.coalesce("text", F.lit("")))))

@@ -179,6 +179,19 @@ def test_mix_meets_targets(spark):
     assert words == sum(taken.values())
 
 
+def test_small_sources_beside_a_large_one_meet_their_targets(spark):
+    rng = random.Random(3)
+    texts = [prose(rng, 20) for _ in range(20)] + [prose(rng, 2_000) for _ in range(100)]
+    docs = documents(spark, texts, {i: f"t{i:02}" if i < 20 else "u" for i in range(120)})
+    taken, target = {}, {}
+    for r in mixing.mix(docs).collect():
+        taken[r["source"]] = taken.get(r["source"], 0) + r["taken"]
+        target[r["source"]] = int(r["target"])
+    assert taken == target
+    slots = [r["slot"] for r in mixing.schedule(spark, mixing.source_targets(docs.select("source", mixing.n_words(F.col("text")).alias("size")))).collect()]
+    assert len(slots) == len(set(slots))
+
+
 def test_mix_of_nothing(spark):
     assert mixing.mix(documents(spark, [])).count() == 0
     assert mixing.mixed_documents(documents(spark, [None, ""])).count() == 0
