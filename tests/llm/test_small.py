@@ -369,6 +369,12 @@ def test_template_lines(spark):
     assert line_templates.drop_lines(documents(spark, [])).count() == 0
 
 
+def test_short_lines_of_several_documents_go(spark):
+    texts = [f"{name}\n\nAll rights reserved.\nLes." for name in ("alpha", "beta", "gamma")] + ["alpha\n\nAll rights reserved.\nLes.", "delta\ntwo only", "epsilon\ntwo only"]
+    rows = {r["doc_id"]: r["text"] for r in line_templates.drop_lines(documents(spark, texts)).collect()}
+    assert rows == {0: texts[0], 1: "beta\n", 2: "gamma\n", 3: "alpha\n", 4: texts[4], 5: texts[5]}
+
+
 def test_extra_columns_pass(spark):
     docs = documents(spark, ["some text", None]).withColumn("gone", F.lit(1)).withColumn("row", F.lit(2)).withColumn("taken", F.lit(3))
     assert line_templates.drop_lines(docs).columns[:8] == docs.columns
