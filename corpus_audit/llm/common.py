@@ -62,8 +62,32 @@ def spans_of(text: Column, pattern: Column | str) -> Column:
     pattern = F.lit(pattern) if isinstance(pattern, str) else pattern
     values = F.regexp_extract_all(text, pattern, F.lit(0))
     gaps = F.split(text, pattern, -1)
-    empty = F.array().cast("array<struct<start:bigint,end:bigint,value:string>>")
-    start = F.struct(F.lit(0).cast("long").alias("at"), empty.alias("found"))
+    paired = F.arrays_zip(F.slice(gaps, F.lit(1), F.size(values)).alias("gap"), values.alias("value"))
+    return F.flatten(_shifted(F.transform(chunks(paired), _laid_out)))
+
+
+CHUNK = 256
+SPANS = "array<struct<start:bigint,end:bigint,value:string>>"
+
+
+def chunks(items: Column) -> Column:
+    """items in runs of CHUNK: folds that append copy what they have, so they run over one run at a time."""
+
+    def cut(whole: Column) -> Column:
+        n = F.ceil(F.size(whole) / CHUNK).cast("int")
+        return F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.slice(whole, (i - 1) * CHUNK + 1, F.lit(CHUNK)))
+
+    return bound(items, cut)
+
+
+def bound(value: Column, use) -> Column:
+    """use(value) with value computed once: an expression that a lambda names is computed again for each element."""
+    return F.transform(F.array(value), use)[0]
+
+
+def _laid_out(run: Column) -> Column:
+    """struct<at,found>: the spans of a run of (gap, value), counted from its begin, and its length."""
+    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(SPANS).alias("found"))
 
     def step(acc: Column, x: Column) -> Column:
         begin = acc["at"] + F.length(x["gap"])
@@ -71,5 +95,15 @@ def spans_of(text: Column, pattern: Column | str) -> Column:
         span = F.struct(begin.cast("long").alias("start"), end.cast("long").alias("end"), x["value"].alias("value"))
         return F.struct(end.cast("long").alias("at"), F.concat(acc["found"], F.array(span)).alias("found"))
 
-    paired = F.arrays_zip(F.slice(gaps, 1, F.size(values)).alias("gap"), values.alias("value"))
-    return F.aggregate(paired, start, step, lambda acc: acc["found"])
+    return F.aggregate(run, start, step)
+
+
+def _shifted(runs: Column) -> Column:
+    """The spans of each run, counted from the begin of the first."""
+    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast(f"array<{SPANS}>").alias("found"))
+
+    def step(acc: Column, run: Column) -> Column:
+        moved = F.transform(run["found"], lambda s: F.struct((s["start"] + acc["at"]).alias("start"), (s["end"] + acc["at"]).alias("end"), s["value"].alias("value")))
+        return F.struct((acc["at"] + run["at"]).alias("at"), F.concat(acc["found"], F.array(moved)).alias("found"))
+
+    return F.aggregate(runs, start, step, lambda acc: acc["found"])

@@ -76,6 +76,63 @@ def test_revealing_terms_and_sanitising(spark):
     assert clean[10] == texts[10]
 
 
+def test_disclosure_equals_brute_force(spark):
+    import math
+
+    rng = random.Random(11)
+    rare = [f"rare{i:03}" for i in range(40)]
+    mails = [f"person{i}@corp.example" for i in range(6)]
+    texts = []
+    for i in range(120):
+        words = [rng.choice(WORDS[:60]) for _ in range(rng.randrange(3, 90))]
+        if i % 3 == 0:
+            who = rng.randrange(6)
+            words[1:1] = [rng.choice(rare[who * 3 : who * 3 + 4]), mails[who], rng.choice(rare)]
+        texts.append(" ".join(words))
+    texts += texts[:9] + [None, ""]
+    around, docs_of = {}, {}
+    for i, t in enumerate(texts):
+        for w in set(re.findall(r"(?<!\w)[a-z]\w{3,}(?!\w)", EMAIL.sub(" ", t or "")) + re.findall(r"(?<!\w)(?:person\d|corp|example)(?!\w)", t or "")):
+            docs_of.setdefault(w, set()).add(i)
+        for m in EMAIL.finditer(t or ""):
+            before, after = t[: m.start()], t[m.end() :]
+            before = re.sub(r"^\w+", "", before[-pii.WINDOW :]) if len(before) > pii.WINDOW else before
+            after = re.sub(r"\w+$", "", after[: pii.WINDOW]) if len(after) > pii.WINDOW else after
+            for w in set(re.findall(r"(?<!\w)[a-z]\w{3,}(?!\w)", before + " . " + after)):
+                around.setdefault((f"0:{m[0]}", w), set()).add(i)
+    holding = {f"0:{e}": {i for i, t in enumerate(texts) if e in (t or "")} for e in mails}
+    expected = {}
+    for (e, w), both in around.items():
+        n_e, n_t, n = len(holding[e]), len(docs_of[w]), len(texts)
+        value = min(1.0, math.log2(n * len(both) / (n_e * n_t)) / math.log2(n / n_e))
+        if len(both) >= 2 and value >= 0.5:
+            expected[(e, w)] = (n_e, n_t, len(both), pytest.approx(value))
+    docs = documents(spark, texts)
+    got = {(r["entity"], r["term"]): (r["n_entity"], r["n_term"], r["n_both"], r["disclosure"]) for r in pii.revealing_terms(docs, generalise_at=0.5).collect()}
+    assert got == expected and len(got) > 10
+    strong = {k for k, v in got.items() if v[3] >= 0.98}
+    assert 0 < len(strong) < len(got)
+    clean = {r["doc_id"]: r["text"] for r in pii.sanitise(docs, generalise_at=0.5).collect()}
+    for i, t in enumerate(texts):
+        own = {f"0:{e}" for e in mails if e in (t or "")}
+        for e, w in got:
+            if e in own:
+                assert w not in clean[i].split()
+        if not own:
+            assert clean[i] == (t or "")
+    assert any("[TERM]" in t for t in clean.values())
+
+
+def test_pii_repeated_rows_long_texts_and_clashing_names(spark):
+    long = "word " * 4_000 + "a@b.co " + "word " * 4_000
+    rows = [(1, long), (1, long), (1, "x@y.zz other"), (None, "1.2.3.4"), (2, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 AS row", "2 AS key", "3 AS spans", "4 AS around", "5 AS term", "6 AS entity")
+    got = pii.digest(pii.find_spans(docs))
+    assert sorted((r["doc_id"] or 0, r["n_email"], r["n_ip"]) for r in got.collect()) == [(0, 0, 1), (1, 1, 0), (1, 1, 0), (1, 1, 0), (2, 0, 0)]
+    assert pii.sanitise(docs).where("text LIKE '%@%'").count() == 0
+    assert pii.sanitise(docs).count() == 5
+
+
 def test_pii_empty_table(spark):
     assert pii.digest(pii.find_spans(documents(spark, []))).count() == 0
 
