@@ -146,15 +146,31 @@ from s qualify row_number() over (partition by query_id order by score desc, vec
 """
 
 OP10_SQL = r"""
-with l as (
+with recursive l as (
   select doc_id, coalesce(text, '') as t, unnest(string_split(coalesce(text, ''), chr(10))) as line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) - 1 as line_no from documents),
 p as (
   select doc_id, t, line_no, regexp_replace(trim(regexp_replace(line, '[\x20\x09-\x0D]+', ' ', 'g'), ' '), '[^ ]*[0-9][^ ]*', '<*>', 'g') as m from l),
-k as (select * from p where length(m) - length(replace(m, ' ', '')) + 1 >= 6),
-r as (select m, min((doc_id, line_no)) as first from k group by m having count(distinct t) >= 2),
+k as (select * from p where m <> ''),
+d as (select m, string_split(m, ' ') as w, len(string_split(m, ' ')) as n, min((doc_id, line_no)) as first from k group by m),
+o as (select *, n // 10 as may_differ, array_to_string(w[1:3], ' ') as lead from d where n >= 10),
+b as (
+  select m, n, lead, first, i, array_to_string(w[i * n // (may_differ + 1) + 1 : (i + 1) * n // (may_differ + 1)], ' ') as band
+  from (select *, unnest(range(0, may_differ + 1)) as i from o)),
+h as (select n, lead, i, band, arg_min(m, first) as head from b group by all having count(*) > 1),
+met as (select distinct b.m as x, head as y from b join h on b.n = h.n and b.lead = h.lead and b.i = h.i and b.band = h.band where b.m <> head),
+links as (
+  select x, y from met join o a on x = a.m join o c on y = c.m
+  where len(list_filter(list_zip(a.w, c.w), lambda z: z[1] <> z[2])) <= a.may_differ),
+both_ways as (select x, y from links union all select y, x from links),
+reach as (select x as a, x as b from both_ways union select r.a, e.y from reach r join both_ways e on r.b = e.x),
+named as (select a as m, min(b) as template from reach group by a),
+z as (select k.*, n, coalesce(template, k.m) as template from k join d using (m) left join named using (m)),
+r as (
+  select template, min((doc_id, line_no)) as first from z group by template
+  having count(distinct t) >= case when any_value(n) < 6 then 3 else 2 end),
 g as (
-  select doc_id, count(distinct line_no)::bigint as n, string_agg(distinct line_no::varchar, ',' order by line_no::varchar) as x, list_sort(list_distinct(list(line_no))) as nos
-  from k join r using (m) where (doc_id, line_no) <> first group by doc_id)
+  select doc_id, count(distinct line_no)::bigint as n, list_sort(list_distinct(list(line_no))) as nos
+  from z join r using (template) where (doc_id, line_no) <> first group by doc_id)
 select d.doc_id, (case when text is null then 0 else len(string_split(text, chr(10))) end)::bigint as n_lines,
   coalesce(n, 0)::bigint as n_dropped, coalesce(array_to_string(nos, ','), '') as dropped
 from documents d left join g using (doc_id)

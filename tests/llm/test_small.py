@@ -432,6 +432,84 @@ def test_short_lines_of_several_documents_go(spark):
     assert rows == {0: texts[0], 1: "beta\n", 2: "gamma\n", 3: "alpha\n", 4: texts[4], 5: texts[5]}
 
 
+def template_lines_by_hand(texts, depth, alike=0.9):
+    """{doc: dropped line numbers}, each line against all of its leaf's bands."""
+    places, tokens = {}, {}
+    for i, text in enumerate(texts):
+        for n, line in enumerate((text or "").split("\n")):
+            words = ["<*>" if re.search("[0-9]", w) else w for w in line.split()]
+            if words:
+                key = " ".join(words)
+                tokens[key] = words
+                places.setdefault(key, []).append((i, n))
+    label = {k: k for k in tokens}
+
+    def find(x):
+        while label[x] != x:
+            x = label[x]
+        return x
+
+    heads = {}
+    for key, words in sorted(tokens.items(), key=lambda kv: min(places[kv[0]])):
+        n = len(words)
+        may = (n * (1_000_000 - round(alike * 1_000_000))) // 1_000_000
+        if not may:
+            continue
+        for band in range(may + 1):
+            cut = tuple(words[band * n // (may + 1) : (band + 1) * n // (may + 1)])
+            head = heads.setdefault((n, *words[:depth], "|", band, cut), key)
+            if sum(a != b for a, b in zip(words, tokens[head], strict=True)) <= may:
+                label[find(key)] = find(head)
+    groups = {}
+    for key in tokens:
+        groups.setdefault(find(key), []).extend(places[key])
+    out = {i: set() for i in range(len(texts))}
+    for key, met in groups.items():
+        if len({texts[i] for i, _ in met}) >= (2 if len(tokens[key]) >= 6 else 3):
+            for i, n in met:
+                if (i, n) != min(met):
+                    out[i].add(n)
+    return out
+
+
+@pytest.mark.parametrize("depth", [1, 3, 8])
+def test_template_tree_equals_brute_force(spark, depth):
+    rng = random.Random(depth)
+    frames = [prose(rng, rng.randrange(3, 40)).split() for _ in range(12)]
+    texts = []
+    for i in range(90):
+        lines = []
+        for _ in range(rng.randrange(0, 6)):
+            words = list(rng.choice(frames)) if rng.random() < 0.7 else prose(rng, rng.randrange(1, 20)).split()
+            for _ in range(rng.randrange(0, 4)):
+                words[rng.randrange(len(words))] = rng.choice(["x", "y", "7", "z9"])
+            lines.append(" ".join(words).replace("w", "v") if rng.random() < 0.1 else "  ".join(words))
+        texts.append("\n".join([*lines, "", f"own text {'abcdefghij'[i % 10]}{'klmnopqrst'[i // 10]}"]))
+    texts += [None, "", *texts[:5]]
+    got = {r["doc_id"]: {int(x) for x in r["dropped"].split(",") if x} for r in line_templates.digest(documents(spark, texts), depth=depth).collect()}
+    assert got == template_lines_by_hand(texts, depth)
+
+
+def test_depth_and_variable_fields(spark):
+    words = "every reader of this page may copy it for any use and pass it on".split()
+    a, b = " ".join(words), " ".join([*words[:1], "writer", *words[2:]])
+    docs = documents(spark, [f"one\n{a}", f"two\n{b}"])
+    assert [sum(r["n_dropped"] for r in line_templates.digest(docs, depth=d).collect()) for d in (1, 3)] == [1, 0]
+    shown = line_templates.templates(docs, depth=1).collect()
+    assert [(r["text"], r["n_lines"], r["occurrences"]) for r in shown] == [(a.replace("reader", "<*>"), 2, 2)]
+
+
+def test_rows_of_one_id_lose_their_own_lines(spark):
+    line = "this long line stands in several documents of the table"
+    docs = spark.createDataFrame([(1, f"{line}\nfirst"), (1, f"second\n{line}"), (1, f"second\n{line}"), (None, f"third\n{line}"), (2, line)], "doc_id long, text string").selectExpr("*", "7 AS leaf", "8 AS template", "9 AS line", "1 AS n_dropped_before")
+    got = line_templates.drop_lines(docs)
+    assert got.columns == [*docs.columns, "n_dropped"]
+    texts = sorted(r["text"] for r in got.collect())
+    assert sum(line in t for t in texts) == 1 and len(texts) == 5
+    long = "\n".join(f"line number {'abcdefghij'[i % 10]} of a very long text" for i in range(20_000))
+    assert line_templates.drop_lines(documents(spark, [long, long + "!"])).count() == 2
+
+
 def test_extra_columns_pass(spark):
     docs = documents(spark, ["some text", None]).withColumn("gone", F.lit(1)).withColumn("row", F.lit(2)).withColumn("taken", F.lit(3))
     assert line_templates.drop_lines(docs).columns[:8] == docs.columns
