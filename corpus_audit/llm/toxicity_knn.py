@@ -1,82 +1,166 @@
 """Toxicity from the nearest labelled examples by exact TF-IDF cosine over a block-max inverted index.
 
-Teaching rows: at most ``most_examples`` labelled documents. Index terms: words whose occurrence goes with the label
-in that sample (chi-square at least ``least_chi``, at most ``most_terms`` of them); every other word has weight 0.
-Document frequencies of the index terms are counted over all documents. Each term's postings are cut into blocks
-of example numbers with their greatest weight; a query adds the block maxima of its terms, visits blocks from the
-highest bound down and stops when the k-th best cosine is out of reach, so the k nearest are exact. Neighbours vote
-with their similarity against the label's base rate; the nearest are returned as evidence.
-
-Defined results: null and empty texts, and texts without index terms, score the smoothed rate of examples without
-index terms; equal similarities go to the smaller example number (doc_id order); repeated rows score alike; empty
-tables give no rows, no labels give score 0; other columns are ignored.
+Teaching rows: at most ``most_examples`` labelled documents, every one of them in the index with every word it holds.
+A word weighs (1 + ln tf) * idf * relevance^2. idf is counted over all documents. Relevance is log2(2 + ratio), the
+ratio of the word's rate among toxic examples to its rate among the others: 1 to 1.6 for words that say nothing, more
+for words of toxic examples; no word is left out. With plain TF-IDF (relevance 1) the neighbours follow the language
+and topic of a text instead (held-out figures in the README), which is why the factor is there.
+
+The index cuts the examples into blocks of neighbours that share their heaviest word. Per word it holds the greatest
+weight in each block; a query adds these maxima, visits blocks from the highest bound down and stops when the k-th best
+cosine is out of reach, so the k nearest are exact. Neighbours vote with their similarity; votes of the teaching rows,
+each without itself, calibrate the score by a logistic curve. The nearest are returned as evidence.
+
+Defined results: null and empty texts, and texts without any known word, score the smoothed base rate; equal
+similarities go to the smaller example number; repeated rows score alike; empty tables give no rows, no labels or one
+label only give that constant score; other columns are ignored; very long texts count whole.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Shared, written
 from .words import _WORD, held_out, labelled, word_counts
 
-BLOCK = 128
+BLOCK = 32
 
 
 class BlockMaxIndex:
-    """Unit TF-IDF vectors of the examples as postings in blocks with maxima."""
+    """Unit TF-IDF vectors of the examples in blocks, with the greatest weight of every term in each block."""
 
     def __init__(self, vectors: list[dict[int, float]], labels: np.ndarray, ids: np.ndarray, n_terms: int):
+        # examples with the same heaviest term become neighbours, so that blocks differ in their bounds
+        heaviest = [max(v, key=lambda t: (v[t], -t)) if v else -1 for v in vectors]
+        self.order = np.array(sorted(range(len(vectors)), key=lambda i: (heaviest[i], i)), np.int64)
         self.labels, self.ids = labels, ids
-        self.n_blocks = -(-len(vectors) // BLOCK) if vectors else 0
-        lists: list[list[tuple[int, float]]] = [[] for _ in range(n_terms)]
-        for number, vector in enumerate(vectors):
-            for term, weight in vector.items():
-                lists[term].append((number, weight))
-        self.postings = [(np.array([n for n, _ in x], np.int64), np.array([w for _, w in x])) for x in lists]
-        self.maxima = np.zeros((n_terms, self.n_blocks))
-        self.cuts = []
-        for term, (numbers, weights) in enumerate(self.postings):
-            np.maximum.at(self.maxima[term], numbers // BLOCK, weights)
-            self.cuts.append(np.searchsorted(numbers, np.arange(self.n_blocks + 1) * BLOCK))
-
-    def nearest(self, query: dict[int, float], k: int) -> list[tuple[float, int]]:
+        self.n_blocks = -(-len(vectors) // BLOCK)
+        sizes = np.array([len(vectors[i]) for i in self.order], np.int64)
+        self.rows = np.r_[0, np.cumsum(sizes)]
+        self.terms = np.fromiter((t for i in self.order for t in vectors[i]), np.int32, int(self.rows[-1]))
+        self.weights = np.fromiter((w for i in self.order for w in vectors[i].values()), np.float64, int(self.rows[-1]))
+        block = (np.repeat(np.arange(len(vectors)), sizes) // BLOCK).astype(np.int64)
+        at = np.lexsort((block, self.terms))
+        term, block, weight = self.terms[at].astype(np.int64), block[at], self.weights[at]
+        first = np.flatnonzero(np.r_[len(at) > 0, (term[1:] != term[:-1]) | (block[1:] != block[:-1])])
+        self.max_block = block[first].astype(np.int32)
+        self.max_weight = np.maximum.reduceat(weight, first) if len(first) else np.empty(0)
+        self.max_cut = np.searchsorted(term[first], np.arange(n_terms + 1))
+        # the same weights by term, for queries that leave most blocks open
+        self.post_cut = np.searchsorted(term, np.arange(n_terms + 1))
+        self.post_row = np.repeat(np.arange(len(vectors)), sizes)[at].astype(np.int32)
+        self.post_weight = weight
+        self.query = np.zeros(n_terms)
+        self.visited = self.asked = 0
+
+    def nearest(self, query: dict[int, float], k: int, without: int = -1) -> list[tuple[float, int]]:
         """The k highest (cosine, example number), ties to the smaller number; only positive cosines."""
-        bound = np.zeros(self.n_blocks)
-        for term, weight in query.items():
-            bound += weight * self.maxima[term]
-        best: list[tuple[float, int]] = []
-        for block in np.argsort(-bound, kind="stable"):
-            if bound[block] <= 0 or len(best) >= k and bound[block] < best[k - 1][0] - 1e-12:
+        if not query or not self.n_blocks:
+            return []
+        terms = np.fromiter(query, np.int64, len(query))
+        weights = np.fromiter(query.values(), np.float64, len(query))
+        flat, size = _ranges(self.max_cut[terms], self.max_cut[terms + 1])
+        bound = np.bincount(self.max_block[flat], np.repeat(weights, size) * self.max_weight[flat], self.n_blocks)
+        self.query[terms] = weights
+        ranked = np.argsort(-bound, kind="stable")
+        scores, rows, floor = np.empty(0), np.empty(0, np.int64), 0.0
+        for low, high in ((0, 1), (1, 3), (3, self.n_blocks)):
+            part = ranked[low:high]
+            part = part[bound[part] > max(0.0, floor - 1e-12)]
+            if not len(part):
                 break
-            scores = np.zeros(BLOCK)
-            for term, weight in query.items():
-                cut = self.cuts[term]
-                low, high = cut[block], cut[block + 1]
-                if high > low:
-                    numbers, weights = self.postings[term]
-                    scores[numbers[low:high] - block * BLOCK] += weight * weights[low:high]
-            hit = np.flatnonzero(scores > 0)
-            best += [(round(float(scores[i]), 12), int(block * BLOCK + i)) for i in hit]
-            best.sort(key=lambda x: (-x[0], x[1]))
-            del best[k:]
-        return best
-
-
-def unit(counts: dict[int, int], idf: np.ndarray) -> dict[int, float]:
-    weights = {t: (1 + np.log(c)) * idf[t] for t, c in counts.items()}
-    norm = np.sqrt(sum(w * w for w in weights.values()))
-    return {t: float(w / norm) for t, w in sorted(weights.items())} if norm > 0 else {}
-
-
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most_examples: int = 12_000, least_chi: float = 40.0, most_terms: int = 4_000):
-    """(terms, idf, index, base rate without terms). Everything in it is bounded by the three limits."""
+            at, _ = _ranges(part * BLOCK, np.minimum((part + 1) * BLOCK, len(self.order)))
+            found = self._by_row(at) if len(part) <= self.n_blocks // 16 else self._by_term(terms, weights)[at]
+            keep = (found > max(0.0, floor - 1e-12)) & (self.order[at] != without)
+            scores, rows = np.r_[scores, found[keep]], np.r_[rows, at[keep]]
+            self.visited += len(part)
+            if len(scores) >= k:
+                floor = float(np.partition(scores, len(scores) - k)[len(scores) - k])
+        self.asked += self.n_blocks
+        self.query[terms] = 0.0
+        scores, numbers = np.round(scores, 12), self.order[rows]
+        best = np.lexsort((numbers, -scores))[:k]
+        return [(float(scores[i]), int(numbers[i])) for i in best]
+
+    def _by_row(self, rows: np.ndarray) -> np.ndarray:
+        """The cosines of rows, from their own weights."""
+        flat, size = _ranges(self.rows[rows], self.rows[rows + 1])
+        each = self.weights[flat] * self.query[self.terms[flat]]
+        return np.bincount(np.repeat(np.arange(len(rows)), size), each, len(rows))
+
+    def _by_term(self, terms: np.ndarray, weights: np.ndarray) -> np.ndarray:
+        """The cosines of all rows, from the lists of the query's terms."""
+        flat, size = _ranges(self.post_cut[terms], self.post_cut[terms + 1])
+        return np.bincount(self.post_row[flat], np.repeat(weights, size) * self.post_weight[flat], len(self.order))
+
+
+def _ranges(low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of all ranges [low, high) one after the other, and the size of each range."""
+    size = high - low
+    return np.repeat(low - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum()), size
+
+
+def unit(counts: dict[int, int], weight: np.ndarray) -> dict[int, float]:
+    """The unit vector of term counts, terms in ascending order."""
+    if not counts:
+        return {}
+    terms = np.array(sorted(counts), np.int64)
+    values = (1 + np.log(np.array([counts[t] for t in terms.tolist()], float))) * weight[terms]
+    norm = float(np.sqrt(values @ values))
+    return dict(zip(terms.tolist(), (values / norm).tolist(), strict=True)) if norm > 0 else {}
+
+
+def _relevance(toxic: np.ndarray, df: np.ndarray, n_toxic: int, n: int) -> np.ndarray:
+    """log2(2 + ratio of the rates among toxic and other examples); one other example at least."""
+    rate = toxic * (n - n_toxic) / np.maximum(1, df - toxic) / max(1, n_toxic)
+    return np.log2(2 + rate)
+
+
+def document_frequencies(docs: DataFrame, number: dict[str, int], chunk: int = 8_192) -> tuple[np.ndarray, int]:
+    """In how many of all documents each known term occurs, and the number of documents.
+
+    Every task sends one packed array a chunk of terms; sums go over groups of tasks first."""
+    shared = Shared(docs.sparkSession, number)
+    size = len(number)
+
+    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        known, df, n = shared.value, np.zeros(size + 1, np.int64), 0
+        for batch in batches:
+            for text in batch["text"]:
+                n += 1
+                if text:
+                    hit = [known[w] for w in set(_WORD.findall(text.lower())) if w in known]
+                    df[hit] += 1
+        df[size] = n
+        group = TaskContext.get().partitionId() // 64
+        rows = [(group, low // chunk, df[low : low + chunk].tobytes()) for low in range(0, size + 1, chunk)]
+        yield pd.DataFrame(rows, columns=["grp", "chunk", "counts"])
+
+    def total(frame: pd.DataFrame) -> pd.DataFrame:
+        summed = np.sum([np.frombuffer(x, np.int64) for x in frame["counts"]], axis=0)
+        return pd.DataFrame({"grp": [0], "chunk": [frame["chunk"].iloc[0]], "counts": [summed.astype(np.int64).tobytes()]})
+
+    kind = "grp long, chunk long, counts binary"
+    parts = docs.select("text").mapInPandas(count, kind).groupBy("grp", "chunk").applyInPandas(total, kind)
+    rows = sorted(parts.groupBy("chunk").applyInPandas(total, kind).collect(), key=lambda r: r["chunk"])
+    if not rows:
+        return np.zeros(size, np.int64), 0
+    found = np.concatenate([np.frombuffer(r["counts"], np.int64) for r in rows])
+    return found[:size], int(found[size])
+
+
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most_examples: int = 2_500, k: int = 25) -> dict:
+    """terms, weight of each, index, base rate, k and the calibration; bounded by ``most_examples``."""
+    spark = docs.sparkSession
     sample = labelled(docs, labels, label, most_examples)
 
     def counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -84,87 +168,105 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most_examples:
             counts = [word_counts(t) for t in batch["text"]]
             yield pd.DataFrame({"doc_id": batch["doc_id"], "label": batch["label"], "terms": [list(c.keys()) for c in counts], "times": [list(c.values()) for c in counts]})
 
-    counts = sample.mapInPandas(counted, "doc_id long, label int, terms array<string>, times array<int>")
-    # words of one example only can never be chosen, so they stay on the executors
-    chosen = written(counts, "toxic-sample")
-    spread = chosen.select("label", F.explode("terms").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("df"), F.sum("label").alias("a"))
-    totals = chosen.groupBy().agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("n1")).first()
-    n, n1 = totals["n"], totals["n1"]
-    if n and 0 < n1 < n:
-        a, df = F.col("a").cast("double"), F.col("df").cast("double")
-        chi = n * F.pow(a * n - df * n1, 2) / (df * (n - df) * float(n1) * float(n - n1)) if n else F.lit(0.0)
-        strong = spread.where((F.col("df") >= 4) & (F.col("df") < n) & (a * n > df * n1)).withColumn("chi", chi).where(F.col("chi") >= least_chi)
-        terms = [r["term"] for r in strong.orderBy(F.desc("chi"), "term").limit(most_terms).collect()]
-    else:
-        terms = []
-    number = {t: i for i, t in enumerate(terms)}
-
-    shared = Shared(docs.sparkSession, number)
-
-    def frequencies(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        known, df, size = shared.value, np.zeros(max(1, len(shared.value)), np.int64), 0
-        for batch in batches:
-            for text in batch["text"]:
-                size += 1
-                if text:
-                    for t in known.keys() & set(_WORD.findall(text.lower())):
-                        df[known[t]] += 1
-        hit = np.flatnonzero(df)
-        yield pd.DataFrame({"term": np.r_[-1, hit], "n": np.r_[size, df[hit]]})
+    chosen = written(sample.mapInPandas(counted, "doc_id long, label int, terms array<string>, times array<int>"), "toxic-sample")
+    examples = sorted(chosen.collect(), key=lambda r: (r["doc_id"], r["terms"], r["times"]))
+    number: dict[str, int] = {t: i for i, t in enumerate(sorted({t for r in examples for t in r["terms"]}))}
+    marks = np.array([r["label"] for r in examples], np.int64)
+    df, n_docs = document_frequencies(docs, number)
+    own, toxic = np.zeros(len(number), np.int64), np.zeros(len(number), np.int64)
+    for r in examples:
+        at = [number[t] for t in r["terms"]]
+        own[at] += 1
+        toxic[at] += r["label"]
+    n, n_toxic = len(examples), int(marks.sum())
+    weight = (np.log((1 + n_docs) / (1 + df)) + 1) * _relevance(toxic, own, n_toxic, n) ** 2 if n else np.zeros(0)
+    vectors = [unit({number[t]: c for t, c in zip(r["terms"], r["times"], strict=True)}, weight) for r in examples]
+    index = BlockMaxIndex(vectors, marks.astype(float), np.array([r["doc_id"] for r in examples], np.int64), len(number))
+    # a text without known words is as toxic as texts are on the whole
+    base = n_toxic / (n + 1)
+    model = {"number": number, "weight": weight, "index": index, "base": base, "k": k, "curve": None}
+    if 0 < n_toxic < n:
+        model["curve"] = calibrated(spark, model, vectors)
+    return model
+
+
+def vote(index: BlockMaxIndex, near: list[tuple[float, int]], base: float, prior: float = 0.1) -> float:
+    """Toxic share of the neighbours' similarity, drawn to the base rate where they are far."""
+    weight = sum(s for s, _ in near)
+    return float((sum(s * index.labels[i] for s, i in near) + prior * base) / (weight + prior))
+
+
+def calibrated(spark, model: dict, vectors: list[dict[int, float]], rounds: int = 50) -> tuple[float, float]:
+    """(slope, shift) of a logistic curve over the logit of the vote, fitted on the examples, each without itself.
+
+    Targets are smoothed by the class sizes, so separable votes give finite curves."""
+    shared = Shared(spark, (model, vectors))
 
-    totals = docs.select("text").mapInPandas(frequencies, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
-    df = {r["term"]: r["n"] for r in totals}
-    n_docs = df.get(-1, 0)
-    idf = np.array([np.log((1 + n_docs) / (1 + df.get(i, 0))) + 1 for i in range(len(terms))])
-
-    def known_terms(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            pairs = [[(shared.value[t], int(n)) for t, n in zip(a, b, strict=True) if t in shared.value] for a, b in zip(batch["terms"], batch["times"], strict=True)]
-            yield pd.DataFrame({"doc_id": batch["doc_id"], "label": batch["label"], "terms": [[t for t, _ in p] for p in pairs], "times": [[n for _, n in p] for p in pairs]})
-
-    vectors, marks, ids, without = [], [], [], [0, 0]
-    for r in sorted(chosen.mapInPandas(known_terms, "doc_id long, label int, terms array<int>, times array<int>").collect(), key=lambda r: (r["doc_id"], r["terms"])):
-        vector = unit(dict(zip(r["terms"], r["times"], strict=True)), idf)
-        if vector:
-            vectors.append(vector)
-            marks.append(r["label"])
-            ids.append(r["doc_id"])
-        else:
-            without[r["label"]] += 1
-    index = BlockMaxIndex(vectors, np.array(marks, float), np.array(ids, np.int64), len(terms))
-    # examples without any index term are the evidence for such texts
-    base = without[1] / (sum(without) + 1) if sum(without) else 0.0
-    return number, idf, index, base
+            fitted, own = shared.value
+            votes = [vote(fitted["index"], fitted["index"].nearest(own[i], fitted["k"], without=i), fitted["base"]) for i in batch["id"]]
+            yield pd.DataFrame({"id": batch["id"], "vote": votes})
+
+    rows = spark.range(len(vectors)).mapInPandas(run, "id long, vote double").collect()
+    x, y = np.zeros(len(vectors)), model["index"].labels
+    for r in rows:
+        x[r["id"]] = _logit(r["vote"])
+    n1, n0 = y.sum(), len(y) - y.sum()
+    target = np.where(y == 1, (n1 + 1) / (n1 + 2), 1 / (n0 + 2))
+    a, b = 1.0, 0.0
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(a * x + b, -30, 30)))
+        w = np.maximum(p * (1 - p), 1e-9)
+        design = np.stack((x, np.ones_like(x)), 1)
+        step = np.linalg.solve(design.T @ (design * w[:, None]) + 1e-3 * np.eye(2), design.T @ (target - p))
+        a, b = a + step[0], b + step[1]
+        if np.abs(step).max() < 1e-9:
+            break
+    return (float(a), float(b)) if a > 0 else (1.0, 0.0)
+
+
+def _logit(p: float) -> float:
+    p = min(max(p, 1e-6), 1 - 1e-6)
+    return float(np.log(p / (1 - p)))
 
 
 class Scorer:
-    """Scores texts; remembers a bounded number of equal queries."""
+    """Scores texts; remembers a bounded number of them, as copies are frequent."""
 
-    def __init__(self, k: int = 15, prior: float = 0.5, most: int = 50_000):
-        self.k, self.prior, self.most, self.known = k, prior, most, {}
+    def __init__(self, most: int = 50_000):
+        self.most, self.known = most, {}
 
-    def __call__(self, model, texts) -> tuple[list[float], list[list[int]]]:
-        number, idf, index, base = model
+    def __call__(self, model: dict, texts) -> tuple[list[float], list[list[int]]]:
         scores, evidence = [], []
         for text in texts:
-            counts = Counter(w for w in _WORD.findall(text.lower()) if w in number) if text else None
-            if not counts:
-                scores.append(base)
-                evidence.append([])
-                continue
-            key = tuple(sorted(counts.items()))
-            if (out := self.known.get(key)) is None:
-                near = index.nearest(unit({number[t]: c for t, c in key}, idf), self.k)
-                weight, vote = sum(s for s, _ in near), sum(s * index.labels[i] for s, i in near)
-                out = (min(1.0, max(0.0, float((vote + self.prior * base) / (weight + self.prior)))), [int(index.ids[i]) for _, i in near[:3]])
-                if len(self.known) < self.most:
-                    self.known[key] = out
-            scores.append(out[0])
-            evidence.append(out[1])
+            found = self._one(model, text or "")
+            scores.append(found[0])
+            evidence.append(found[1])
         return scores, evidence
 
-
-def score(docs: DataFrame, model) -> DataFrame:
+    def _one(self, model: dict, text: str) -> tuple[float, list[int]]:
+        key = hashlib.md5(text.encode("utf-8", "replace")).digest()
+        if (out := self.known.get(key)) is None:
+            out = self._score(model, text)
+            if len(self.known) < self.most:
+                self.known[key] = out
+        return out
+
+    def _score(self, model: dict, text: str) -> tuple[float, list[int]]:
+        number, index = model["number"], model["index"]
+        counts = Counter(_WORD.findall(text.lower()))
+        near = index.nearest(unit({number[w]: c for w, c in counts.items() if w in number}, model["weight"]), model["k"])
+        if not near:
+            return model["base"], []
+        share = vote(index, near, model["base"])
+        if model["curve"] is not None:
+            a, b = model["curve"]
+            share = float(1 / (1 + np.exp(-np.clip(a * _logit(share) + b, -30, 30))))
+        return share, [int(index.ids[i]) for _, i in near[:3]]
+
+
+def score(docs: DataFrame, model: dict) -> DataFrame:
     """doc_id, score, evidence (nearest example ids, at most 3)."""
     shared = Shared(docs.sparkSession, (Scorer(), model))
 

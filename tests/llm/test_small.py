@@ -331,13 +331,13 @@ def labelled_texts(spark):
 
 def test_toxicity_on_held_out_rows(spark):
     docs, labels = labelled_texts(spark)
-    got = toxicity_knn.toxicity(docs, labels, least_chi=10.0).collect()
+    got = toxicity_knn.toxicity(docs, labels).collect()
     assert len(got) == 402
     assert all(0 <= r["score"] <= 1 for r in got)
     for r in got:
         if r["doc_id"] < 400 and r["held_out"]:
             assert r["predicted"] == int(r["doc_id"] % 4 == 0)
-    kept = toxicity_knn.keep_clean(docs, labels, least_chi=10.0)
+    kept = toxicity_knn.keep_clean(docs, labels)
     assert kept.columns == docs.columns
     assert kept.count() == 302
 
