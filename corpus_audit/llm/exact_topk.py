@@ -3,11 +3,12 @@
 A vector is described per segment by mean m and deviation s; over a segment of length l two vectors' inner product
 lies within l (m m' +- s s'), so sums over segments bound the whole from coarse (one segment) to fine. For each
 query, candidates whose upper bound falls below the current k-th best leave at the coarsest level that rules them
-out; survivors get exact integer products. (Inner products and squared distances bound each other through the
-norms, so this is the lower bound on distance in another form.)
+out, pair by pair; surviving pairs get exact integer products. (Inner products and squared distances bound each other
+through the norms, so this is the lower bound on distance in another form.) What the bounds save depends on the data:
+components that vary along a vector like noise leave nearly every pair open, whatever the level below the whole.
 
 Queries travel in broadcast chunks of at most ``chunk`` vectors, each chunk against all rows where they lie; every
-partition returns at most k rows a query.
+partition returns at most k rows a query. Components and scores beyond 64 bits stay at the end of the range.
 
 Defined results: vectors null, or with null or non-finite components, take no part; neither do candidates of
 another length than the query; ties go to the smaller vec_id; repeated vec_ids are rows of their own, but never
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 
 from .common import Shared
 
-LEVELS = (1, 4, 16)
+LEVELS = (1, 4, 16, 32)
+FURTHEST = float(2**62)
 
 
 def usable(vector: Column) -> Column:
@@ -36,7 +38,9 @@ def usable(vector: Column) -> Column:
 def quantised(vectors: DataFrame, scale: int = 1024) -> DataFrame:
     """vec_id, vector array<long>: floor(scale * x) of the usable rows."""
     taken = vectors.where(usable(F.col("embedding")) & F.col("vec_id").isNotNull())
-    return taken.select("vec_id", F.transform("embedding", lambda x: F.floor(F.lit(scale) * x.cast("double"))).alias("vector"))
+    # what no 64-bit number holds stays at the end of the range
+    number = lambda x: F.floor(F.least(F.greatest(F.lit(scale) * x.cast("double"), F.lit(-FURTHEST)), F.lit(FURTHEST)))
+    return taken.select("vec_id", F.transform("embedding", number).alias("vector"))
 
 
 def segment_bounds(block: np.ndarray, segments: int) -> np.ndarray:
@@ -51,11 +55,20 @@ def _products(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Exact integer inner products: by float64 where all sums stay below 2^53, else in Python's integers."""
     if float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * a.shape[1] < 2**53:
         return np.rint(a.astype(float) @ b.astype(float).T).astype(np.int64)
-    return (a.astype(object) @ b.astype(object).T).astype(np.int64)
+    exact = a.astype(object) @ b.astype(object).T
+    return np.clip(exact, -(2**63) + 1, 2**63 - 1).astype(np.int64)
+
+
+def _paired(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Exact integer inner products of row i with row i."""
+    if float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * a.shape[1] < 2**53:
+        return np.rint(np.einsum("ij,ij->i", a.astype(float), b.astype(float))).astype(np.int64)
+    exact = (a.astype(object) * b.astype(object)).sum(1)
+    return np.clip(exact, -(2**63) + 1, 2**63 - 1).astype(np.int64)
 
 
 class Search:
-    """Best k per query over the candidates seen so far."""
+    """Best k per query over the candidates seen so far; tested and survived count pairs."""
 
     def __init__(self, ids: np.ndarray, queries: np.ndarray, k: int):
         self.ids, self.queries, self.k = ids, queries, k
@@ -65,31 +78,38 @@ class Search:
         self.tested = self.survived = 0
 
     def add(self, ids: np.ndarray, block: np.ndarray) -> None:
-        floor = self.best[:, -1] if self.best.shape[1] == self.k else np.full(len(self.ids), np.iinfo(np.int64).min)
-        open_queries = np.arange(len(self.ids))
-        alive = np.ones(len(ids), bool)
+        lowest = np.iinfo(np.int64).min
+        floor = self.best[:, -1] if self.best.shape[1] == self.k else np.full(len(self.ids), lowest)
+        self.tested += len(ids) * len(self.ids)
+        open_queries, candidates = np.arange(len(self.ids)), np.arange(len(ids))
+        alive = np.ones((len(self.ids), len(ids)), bool)
         for level, n in enumerate(LEVELS):
-            candidates = np.flatnonzero(alive)
+            if n > block.shape[1]:
+                break
             upper = self.bounds[level][open_queries] @ segment_bounds(block[candidates].astype(float), n).T
             slack = 1e-6 * np.abs(upper) + 1e-3
-            keep = upper + slack >= floor[open_queries][:, None]
-            alive[candidates] = keep.any(0)
-            open_queries = open_queries[keep.any(1)]
-            if not len(open_queries) or not alive.any():
-                self.tested += len(ids)
+            alive &= upper + slack >= floor[open_queries][:, None]
+            rows, columns = alive.any(1), alive.any(0)
+            open_queries, candidates, alive = open_queries[rows], candidates[columns], alive[np.ix_(rows, columns)]
+            if not alive.size:
                 return
-        candidates = np.flatnonzero(alive)
-        self.tested += len(ids)
-        self.survived += len(candidates)
-        scores = _products(self.queries[open_queries], block[candidates])
+        pairs = int(alive.sum())
+        self.survived += pairs
+        if pairs * 8 < alive.size:  # few pairs: each on its own
+            q_at, c_at = np.nonzero(alive)
+            scores = np.full(alive.shape, lowest)
+            for low in range(0, pairs, 65_536):
+                q, c = q_at[low : low + 65_536], c_at[low : low + 65_536]
+                scores[q, c] = _paired(self.queries[open_queries[q]], block[candidates[c]])
+        else:
+            scores = np.where(alive, _products(self.queries[open_queries], block[candidates]), lowest)
         found = ids[candidates]
-        lowest = np.iinfo(np.int64).min
         width = min(self.k, self.best.shape[1] + len(candidates))
         best_id, best = np.zeros((len(self.ids), width), np.int64), np.full((len(self.ids), width), lowest)
         old = self.best.shape[1]
         best[:, : min(old, width)], best_id[:, : min(old, width)] = self.best[:, :width], self.best_id[:, :width]
         for row, q in enumerate(open_queries):
-            hit = np.flatnonzero((scores[row] >= floor[q]) & (found != self.ids[q]))
+            hit = np.flatnonzero((scores[row] >= floor[q]) & (scores[row] > lowest) & (found != self.ids[q]))
             real = self.best[q] > lowest
             all_scores = np.r_[self.best[q][real], scores[row][hit]]
             all_ids = np.r_[self.best_id[q][real], found[hit]]
@@ -115,7 +135,7 @@ def _chunks(queries: DataFrame, chunk: int) -> Iterator[pd.DataFrame]:
         last = int(part["vec_id"].iloc[-1])
 
 
-def top_k(vectors: DataFrame, k: int = 10, query_step: int = 100, chunk: int = 4096, scale: int = 1024) -> DataFrame:
+def top_k(vectors: DataFrame, k: int = 10, query_step: int = 100, chunk: int = 32_768, scale: int = 1024) -> DataFrame:
     """query_id, rank, vec_id, score for the queries vec_id % query_step == 0."""
     spark = vectors.sparkSession
     numbers = quantised(vectors, scale)
@@ -125,19 +145,23 @@ def top_k(vectors: DataFrame, k: int = 10, query_step: int = 100, chunk: int = 4
         shared = Shared(spark, [(int(i), np.array(v, np.int64)) for i, v in zip(part["vec_id"], part["vector"], strict=True)])
 
         def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
-            searches: dict[int, Search] = {}
+            searches: dict[int, list[Search]] = {}
             for width in {len(v) for _, v in shared.value}:
                 own = [(i, v) for i, v in shared.value if len(v) == width]
-                searches[width] = Search(np.array([i for i, _ in own], np.int64), np.stack([v for _, v in own]), k)
+                turns = [own[low : low + 2048] for low in range(0, len(own), 2048)]
+                searches[width] = [Search(np.array([i for i, _ in turn], np.int64), np.stack([v for _, v in turn]), k) for turn in turns]
             for batch in batches:
                 widths = batch["vector"].map(len)
-                for width, search in searches.items():
+                for width, turns in searches.items():
                     own = batch[widths == width]
                     for low in range(0, len(own), 2048):
-                        block = own.iloc[low : low + 2048]
-                        search.add(block["vec_id"].to_numpy(np.int64), np.stack(block["vector"].to_list()).astype(np.int64))
-            for search in searches.values():
-                yield search.rows()
+                        rows = own.iloc[low : low + 2048]
+                        ids, block = rows["vec_id"].to_numpy(np.int64), np.stack(rows["vector"].to_list()).astype(np.int64)
+                        for search in turns:
+                            search.add(ids, block)
+            for turns in searches.values():
+                for search in turns:
+                    yield search.rows()
 
         rows = numbers.mapInPandas(run, "query_id long, vec_id long, score long")
         found = rows if found is None else found.unionByName(rows)
