@@ -1,14 +1,17 @@
 """Approximate nearest neighbours with balanced posting lists.
 
-Centroids come from a bounded sample (k-means with a size penalty, so lists stay even). Every vector goes to its
-nearest list and, when it lies near a boundary, also to the lists whose centroid is at most ``replicate`` times as
-far, up to ``copies``. A query walks an in-memory graph over the centroids and searches the lists within
-``prune`` times the nearest centroid's distance, at least ``least_lists``. Lists longer than ``list_rows`` are
-searched in parts. Cosines of what is found are exact, on the original vectors.
+Centroids come from a bounded sample (k-means with a size penalty, so lists stay even); their number grows with the
+square root of the rows, up to an eighth of the sample. Every vector goes to its nearest list and, when it lies near a
+boundary, also to the lists whose centroid is at most ``replicate`` times as far, up to ``copies``. A query walks an
+in-memory graph over the centroids and searches the lists within ``prune`` times the nearest centroid's distance: at
+least ``least_lists`` and at most the share ``probe`` of all. On clustered vectors the distance ratio decides; on
+vectors without clusters all centroids are about equally far, and the share does. Lists longer than ``list_rows`` and
+the queries of a list beyond ``list_queries`` are met in parts. Cosines of what is found are exact, on the original
+vectors.
 
 Defined results: vectors null, zero or with null or non-finite components take no part, nor candidates of another
 length; ties go to the smaller vec_id; a query is never its own candidate; repeated vec_ids
-count once, with their best score, and ask once; an empty table gives no rows.
+count once, with their best score, and ask once; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -84,31 +87,37 @@ class CentroidGraph:
 
 def build(vectors: DataFrame, width: int, n_lists: int, most_sample: int = 20_000) -> CentroidGraph:
     """Graph over centroids fitted on the first ``most_sample`` usable vectors in digest order."""
-    sample = vectors.where(F.size("embedding") == width).orderBy(F.md5(F.col("vec_id").cast("string"))).limit(most_sample).toPandas()
+    sample = vectors.where(F.size("embedding") == width).orderBy(F.md5(F.col("vec_id").cast("string")), "embedding").limit(most_sample).toPandas()
     block = np.stack(sample["embedding"].to_list()).astype(float)
-    return CentroidGraph(balanced_centroids(block / np.linalg.norm(block, axis=1, keepdims=True), n_lists))
+    unit = block / np.linalg.norm(block, axis=1, keepdims=True)
+    return CentroidGraph(balanced_centroids(unit, max(1, min(n_lists, len(unit) // 8))))
 
 
-def nearest(
-    vectors: DataFrame, k: int = 5, query_step: int = 50, n_lists: int = 64, copies: int = 6, replicate: float = 1.12, prune: float = 1.25, least_lists: int = 24, list_rows: int = 20_000
-) -> DataFrame:
-    """query_id, rank, vec_id, score for the queries vec_id % query_step == 0."""
+def nearest(vectors: DataFrame, k: int = 5, query_step: int = 50, **options) -> DataFrame:
+    """query_id, rank, vec_id, score for the queries vec_id % query_step == 0; options as in ``_nearest``."""
     spark = vectors.sparkSession
     norm = F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
     rows = vectors.where(usable(F.col("embedding")) & F.col("vec_id").isNotNull()).where(norm > 0).select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("embedding"))
-    widths = [r[0] for r in rows.select(F.size("embedding")).distinct().limit(64).collect()]
+    # vectors of one length meet each other only: an index for every length that the table has
+    sizes = {r["width"]: r["n"] for r in rows.groupBy(F.size("embedding").alias("width")).agg(F.count(F.lit(1)).alias("n")).collect()}
     out = None
-    for width in sorted(widths):
-        found = _nearest(rows.where(F.size("embedding") == width), width, k, query_step, n_lists, copies, replicate, prune, least_lists, list_rows)
+    for width, n in sorted(sizes.items()):
+        found = _nearest(rows.where(F.size("embedding") == width), width, n, k, query_step, **options)
         out = found if out is None else out.unionByName(found)
     if out is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     return out
 
 
-def _nearest(rows: DataFrame, width: int, k: int, query_step: int, n_lists: int, copies: int, replicate: float, prune: float, least_lists: int, list_rows: int) -> DataFrame:
+FOUND = "query_id long, vec_id long, score double"
+
+
+def _nearest(
+    rows: DataFrame, width: int, n: int, k: int, query_step: int, lists: float = 4.0, copies: int = 2, replicate: float = 1.12, prune: float = 1.4, probe: float = 0.22,
+    least_lists: int = 8, list_rows: int = 20_000, list_queries: int = 5_000,
+) -> DataFrame:
     spark = rows.sparkSession
-    graph = Shared(spark, build(rows, width, n_lists))
+    graph = Shared(spark, build(rows, width, math.ceil(lists * math.sqrt(n))))
 
     def place(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         centroids = graph.value.centroids
@@ -125,47 +134,55 @@ def _nearest(rows: DataFrame, width: int, k: int, query_step: int, n_lists: int,
             yield pd.DataFrame({"list": order[row, rank], "vec_id": batch["vec_id"].to_numpy(np.int64)[row], "vector": [block[r].tobytes() for r in row]})
 
     placed = written(rows.mapInPandas(place, "list int, vec_id long, vector binary"), "ann-lists")
-    sizes = {r["list"]: r["n"] for r in placed.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect()}
-    parts = {number: max(1, math.ceil(n / list_rows)) for number, n in sizes.items()}
 
-    def probe(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def choose(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             out = []
             for vec_id, vector in zip(batch["vec_id"], batch["embedding"], strict=True):
                 block = np.asarray(vector, float)
-                near = graph.value.search(block / np.linalg.norm(block), max(least_lists, len(graph.value.centroids) // 2))
+                near = graph.value.search(block / np.linalg.norm(block), max(least_lists, math.ceil(probe * len(graph.value.centroids))))
                 limit = near[0][0] * prune
-                for rank, (distance, number) in enumerate(near):
-                    if rank < least_lists or distance <= limit:
-                        out += [(number, part, vec_id, block.tobytes()) for part in range(parts.get(number, 0))]
-            yield pd.DataFrame(out, columns=["list", "part", "query_id", "query"])
+                out += [(number, vec_id, block.tobytes()) for rank, (distance, number) in enumerate(near) if rank < least_lists or distance <= limit]
+            yield pd.DataFrame(out, columns=["list", "query_id", "query"]).astype({"list": "int32", "query_id": "int64"})
 
     asked = rows.where(F.col("vec_id") % query_step == 0).groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
-    probes = asked.mapInPandas(probe, "list int, part int, query_id long, query binary")
-    n_parts = F.create_map(*[F.lit(x) for item in parts.items() for x in item]) if parts else F.lit(None)
-    split = placed.withColumn("part", F.pmod(F.xxhash64("vec_id"), F.coalesce(F.try_element_at(n_parts, "list"), F.lit(1))).cast("int"))
-
-    def search(key, queries: pd.DataFrame, stored: pd.DataFrame) -> pd.DataFrame:
-        if not len(queries) or not len(stored):
+    probes = written(asked.mapInPandas(choose, "list int, query_id long, query binary"), "ann-probes")
+    # a row per list: parts of its vectors and of its queries meet each other, so no task grows with either
+    sides = placed.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / list_rows).cast("int").alias("parts"))
+    sides = sides.join(probes.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / list_queries).cast("int").alias("turns")), "list")
+    sides = written(sides, "ann-sides")
+    part = lambda key, n: F.pmod(F.xxhash64(key), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    stored = placed.join(sides, "list").select("list", part("vec_id", "parts").alias("part"), every("turns").alias("turn"), "vec_id", "vector")
+    asking = probes.join(sides, "list").select("list", part("query_id", "turns").alias("turn"), every("parts").alias("part"), "query_id", "query")
+
+    def search(key, queries: pd.DataFrame, block: pd.DataFrame) -> pd.DataFrame:
+        if not len(queries) or not len(block):
             return pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
-        block = np.stack([np.frombuffer(v) for v in stored["vector"]])
-        ids, norms = stored["vec_id"].to_numpy(np.int64), np.linalg.norm(block, axis=1)
+        ids = block["vec_id"].to_numpy(np.int64)
+        vectors = np.stack([np.frombuffer(v) for v in block["vector"]])
+        norms = np.linalg.norm(vectors, axis=1)
+        own, number = np.unique(ids, return_inverse=True)
         out = []
         for query_id, query in zip(queries["query_id"], queries["query"], strict=True):
             q = np.frombuffer(query)
-            rough = block @ q / (norms * np.linalg.norm(q))
+            rough = vectors @ q / (norms * np.linalg.norm(q))
             rough[ids == query_id] = -np.inf
-            floor = np.partition(rough, -k)[-k] if len(rough) > k else -np.inf
+            best = rough
+            if len(own) < len(ids):  # repeated ids fill one place
+                best = np.full(len(own), -np.inf)
+                np.maximum.at(best, number, rough)
+            floor = np.partition(best, -k)[-k] if len(best) > k else -np.inf
             hit = np.flatnonzero((rough >= floor - 1e-9) & (rough > -np.inf))
-            scores = cosines(q, block[hit])
-            order = np.lexsort((ids[hit], -scores))[:k]
-            out.append(pd.DataFrame({"query_id": query_id, "vec_id": ids[hit][order], "score": scores[order]}))
+            found = pd.DataFrame({"vec_id": ids[hit], "score": cosines(q, vectors[hit])})
+            found = found.groupby("vec_id", as_index=False)["score"].max().sort_values(["score", "vec_id"], ascending=[False, True]).head(k)
+            out.append(found.assign(query_id=query_id)[["query_id", "vec_id", "score"]])
         return pd.concat(out)
 
-    met = probes.groupBy("list", "part").cogroup(split.groupBy("list", "part")).applyInPandas(search, "query_id long, vec_id long, score double")
-    best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    met = asking.groupBy("list", "part", "turn").cogroup(stored.groupBy("list", "part", "turn")).applyInPandas(search, FOUND)
+    first = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     distinct = met.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    return distinct.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return distinct.withColumn("rank", F.row_number().over(first)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def cosines(query: np.ndarray, block: np.ndarray) -> np.ndarray:
