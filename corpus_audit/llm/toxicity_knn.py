@@ -73,7 +73,7 @@ class BlockMaxIndex:
         self.query[terms] = weights
         ranked = np.argsort(-bound, kind="stable")
         scores, rows, floor = np.empty(0), np.empty(0, np.int64), 0.0
-        for low, high in ((0, 1), (1, 3), (3, self.n_blocks)):
+        for low, high in ((0, 2), (2, self.n_blocks)):
             part = ranked[low:high]
             part = part[bound[part] > max(0.0, floor - 1e-12)]
             if not len(part):
