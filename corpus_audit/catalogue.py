@@ -13,6 +13,7 @@ from .bindings import (
 from .functions.text import bucket, digest, parse_verdict
 from .operators import annotate, contrast, dedup, detectors, labelers, leakage, metrics, pairs, pairwise, prompts, splits, stats
 from .operators import history as hist
+from .plans.materialise import written
 from .sources.tables import load
 from .streaming import incremental
 
@@ -216,7 +217,7 @@ def imbalance(spark: SparkSession, d: str) -> DataFrame:
 from samples s left join changed c on s.commit_id = c.commit_id and s.function_id <> c.function_id where label = 1 group by sample_id""")
 def context_functions(spark: SparkSession, d: str) -> DataFrame:
     h = History(spark, d)
-    found = hist.attach_context(h.samples().where("label = 1"), h.changed, most=1000)
+    found = hist.attach_context(h.samples().where("label = 1"), h.changed, most=None)
     return found.select("sample_id", F.coalesce(F.size("context"), F.lit(0)).alias("n_context"))
 
 
@@ -231,6 +232,36 @@ def audit_sample_50(spark: SparkSession, d: str) -> DataFrame:
     return annotate.audit_sample(rows, n=50).select("corpus", "sample_id")
 
 
+@query(f"with {NATURAL_SQL}, {VOTES_SQL} select corpus, sample_id, annotator, case when annotator = 3 and b % 7 = 0 then 'unsure' when verdict = 'flawed' and b % 2 = 0 then 'flawed' else 'benign' end as verdict from votes")
+def two_step_judgement(spark: SparkSession, d: str) -> DataFrame:
+    """Verdicts from two judgements: is the commit a fix (even bucket), and did this function hold the flaw (the vote)."""
+    first = votes(spark, d)[0].withColumn("b", bucket(F.col("sample_id"), "vote"))
+    skipped = (F.col("annotator") == 3) & (F.col("b") % 7 == 0)
+    judged = first.withColumn("is_fix", F.when(~skipped, F.col("b") % 2 == 0)).withColumn("is_flawed", F.col("verdict") == "flawed")
+    return annotate.two_step(judged).select("corpus", "sample_id", "annotator", "verdict")
+
+
+@query(f"""with {SAMPLE_CTES}, a as (select * from samples where label = 1 qualify row_number() over (partition by project_id % 5 order by md5('audit' || sample_id), sample_id) <= 50)
+select sample_id, k.function_name, h.pre_digest, h.post_digest, adv.advisory_id, adv.description from a left join h on a.commit_id = h.commit_id and a.function_id = h.function_id
+left join keys k on a.commit_id = k.commit_id and a.function_id = k.function_id left join adv on a.commit_id = adv.commit_id""")
+def audit_sheet(spark: SparkSession, d: str) -> DataFrame:
+    h = History(spark, d)
+    sample = annotate.audit_sample(h.samples().where("label = 1").withColumn("corpus", F.col("project_id") % 5))
+    return annotate.audit_sheet(sample, h.changes, h.advisories).select("sample_id", "function_name", "pre_digest", "post_digest", "advisory_id", "description")
+
+
+@query(f"""with {NATURAL_SQL}, {VOTES_SQL}, t as (select sample_id, any_value(corpus) as corpus, count(*) filter (verdict = 'flawed') as y, count(*) filter (verdict = 'unsure') as u from votes group by 1),
+r as (select sample_id, case when count(*) filter (verdict = 'flawed') >= 2 then 'flawed' else 'benign' end as second from revised group by 1),
+z as (select corpus, case when u > 0 then coalesce(second, 'needs_review') when y >= 2 then 'flawed' else 'benign' end as verdict from t left join r using (sample_id))
+select 'audited' as origin, corpus, round(100.0 * count(*) filter (verdict = 'flawed') / count(*), 4) as correct_pct from z where verdict <> 'needs_review' group by corpus
+union all select 'published', name, pct from {published.values_sql(published.LABEL_ACCURACY, "name string, pct double")}""")
+def label_accuracy_with_published(spark: SparkSession, d: str) -> DataFrame:
+    """Audited label accuracy beside the quoted figures of prior corpora."""
+    audited = label_accuracy(spark, d).select(F.lit("audited").alias("origin"), "corpus", "correct_pct")
+    quoted = spark.createDataFrame(published.LABEL_ACCURACY, "corpus string, correct_pct double")
+    return audited.unionByName(quoted.select(F.lit("published").alias("origin"), "corpus", "correct_pct"))
+
+
 MAJORITY = """
 t1 as (select sample_id, any_value(corpus) as corpus, count(*) as n, count(*) filter (verdict = 'flawed') as y, count(*) filter (verdict = 'unsure') as u from votes group by 1),
 t2 as (select sample_id, case when count(*) filter (verdict = 'flawed') >= 2 then 'flawed' else 'benign' end as second from revised group by 1),
@@ -380,6 +411,15 @@ def split_chronological_by_flawed(spark: SparkSession, d: str) -> DataFrame:
     return splits.split_chronological(History(spark, d).samples(), unit="flawed").groupBy("split", "label").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query(f"""with {SAMPLE_CTES}, {chronological_sql('samples', 'c', 'count(*)')}, t as (select commit_id, split, min(commit_ts) as ts from c group by 1, 2),
+e as (select max(ts) filter (split = 'train') as tr, max(ts) filter (split = 'dev') as dv from t)
+select split, count(*) as n_samples, count(distinct commit_id) as n_commits from c join t using (commit_id, split), e
+where split = 'train' or (split = 'dev' and ts > tr + interval 30 days) or (split = 'test' and ts > coalesce(dv, tr) + interval 30 days) group by split""")
+def split_with_embargo(spark: SparkSession, d: str) -> DataFrame:
+    rows = splits.split_chronological(History(spark, d).samples(), embargo_days=30)
+    return rows.groupBy("split").agg(F.count(F.lit(1)).alias("n_samples"), F.count_distinct("commit_id").alias("n_commits"))
+
+
 @query()
 def split_by_quantile(spark: SparkSession, d: str) -> DataFrame:
     return splits.split_by_quantile(History(spark, d).samples()).groupBy("split", "label").agg(F.count(F.lit(1)).alias("n"))
@@ -407,35 +447,25 @@ def downsample_benign(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _pairs(spark: SparkSession, d: str, h: History) -> tuple[DataFrame, DataFrame]:
-    """(flawed, their pairs), texts of any length; non-ASCII folded, as DuckDB's distance counts bytes."""
+    """(flawed, their pairs), texts of any length and alphabet. The quadratic distance of DuckDB cannot do these in
+    time, and counts bytes, so a reference in Python checks them instead of SQL."""
     flawed = h.flawed()
-    versions = hist.text_versions(spark, d, flawed)
-    folded = versions.withColumn("pre_text", pairs.fold_ascii(F.col("pre_text"))).withColumn("post_text", pairs.fold_ascii(F.col("post_text")))
-    return flawed, pairs.build_pairs(flawed, folded)
-
-
-PAIRS_SQL = """
-vs as (select function_id, revision, variant, regexp_replace(pre_text, '[^\\x00-\\x7F]', '?', 'g') as a, regexp_replace(post_text, '[^\\x00-\\x7F]', '?', 'g') as b
-  from ty where length(pre_text) <= 1500 and (function_id, revision, variant) in (select (function_id, revision, variant) from flawed)),
-sim as (select function_id, revision, variant, 1 - levenshtein(a, b) / greatest(length(a), length(b)) as similarity from vs where b is not null and least(length(a), length(b)) >= 0.8 * greatest(length(a), length(b))),
-short as (select * from flawed where (function_id, revision, variant) in (select (function_id, revision, variant) from vs)),
-pairs as (select commit_id || ':' || function_id as pair_id, commit_id, commit_ts, variant, round(similarity, 6) as similarity from short join sim using (function_id, revision, variant) where similarity >= 0.8)"""
+    return flawed, pairs.build_pairs(flawed, hist.text_versions(spark, d, flawed))
 
 
-@query(f"with {H_SQL}, {LABELS_SQL}, {PAIRS_SQL} select pair_id, variant, similarity from pairs")
+@query()
 def build_pairs(spark: SparkSession, d: str) -> DataFrame:
     return _pairs(spark, d, History(spark, d))[1].select("pair_id", "variant", "similarity")
 
 
-@query(f"with {SAMPLE_CTES}, {PAIRS_SQL}, {chronological_sql('samples', 'c', 'count(*)')} select split, count(*) as n_pairs, count(distinct commit_id) as n_commits from pairs join (select distinct commit_id, split from c) using (commit_id) group by split")
+@query()
 def pair_split_stats(spark: SparkSession, d: str) -> DataFrame:
     h = History(spark, d)
     of_commit = splits.split_chronological(h.samples()).select("commit_id", "split").distinct()
     return pairs.pair_split_stats(_pairs(spark, d, h)[1].join(of_commit, "commit_id"))
 
 
-@query(f"""with {SAMPLE_CTES}, {PAIRS_SQL} select case when post_digest is null then 'deleted' when s.sample_id is null then 'fix de-duplicated' else 'too different' end as reason, count(*) as n
-from short f left join samples s on s.sample_id = f.commit_id || ':' || f.function_id || ':post' where f.commit_id || ':' || f.function_id not in (select pair_id from pairs) group by 1""")
+@query()
 def unpaired_reasons(spark: SparkSession, d: str) -> DataFrame:
     h = History(spark, d)
     flawed, found = _pairs(spark, d, h)
@@ -678,6 +708,61 @@ def cross_corpus(spark: SparkSession, d: str) -> DataFrame:
     return detectors.cross_eval(parts)
 
 
+def _pair_sides(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(train samples, test samples, test pairs) with texts: the history's samples split by time; pairs follow their commit."""
+    h = History(spark, d)
+    placed = splits.split_chronological(h.samples())
+    texts = hist.text_versions(spark, d, h.changes).select("function_id", "revision", "variant", "pre_text", "post_text")
+    of_change = h.changes.select("commit_id", "function_id", "revision", "variant")
+    rows = placed.join(of_change, ["commit_id", "function_id"]).join(texts, ["function_id", "revision", "variant"])
+    text = F.when(F.col("side") == "post", F.col("post_text")).otherwise(F.col("pre_text"))
+    rows = written(rows.select("sample_id", "commit_id", "label", "split", text.alias("text")), "pair-samples")
+    of_commit = placed.select("commit_id", "split").distinct()
+    found = _pairs(spark, d, h)[1].join(of_commit, "commit_id").where("split = 'test'").select("pair_id", "flawed_id", "benign_id", "commit_id")
+    return rows.where("split = 'train'"), rows.where("split = 'test'"), written(found, "test-pairs")
+
+
+def _sides(spark: SparkSession, d: str, found: DataFrame) -> DataFrame:
+    """sample_id, label, text of both sides of the pairs, also of sides that de-duplication took from the samples."""
+    h_keys = F.split("pair_id", ":")
+    texts = hist.text_versions(spark, d, hist.change_keys(spark, d).where("is_security"))
+    keys = hist.change_keys(spark, d).where("is_security").select("commit_id", "function_id", "revision", "variant")
+    whole = found.select("flawed_id", "benign_id", h_keys[0].cast("long").alias("commit_id"), h_keys[1].cast("long").alias("function_id")).join(keys, ["commit_id", "function_id"]).join(texts, ["function_id", "revision", "variant"])
+    each = F.array(F.struct(F.col("flawed_id").alias("sample_id"), F.lit(1).alias("label"), F.col("pre_text").alias("text")), F.struct(F.col("benign_id").alias("sample_id"), F.lit(0).alias("label"), F.col("post_text").alias("text")))
+    return whole.select(F.explode(each).alias("x")).select("x.*")
+
+
+@query()
+def detector_pair_outcomes(spark: SparkSession, d: str) -> DataFrame:
+    """run, setting, metric, value: accuracy, F1, capped miss and the four pair outcomes of a detector at each class
+    weight, fitted on the training part of the history."""
+    train, test, found = _pair_sides(spark, d)
+    features = detectors.text_features(train).select("sample_id", "label", "features")
+    tested, sides = detectors.text_features(test).select("sample_id", "label", "features"), written(_sides(spark, d, found), "pair-sides")
+    shown = detectors.text_features(sides).select("sample_id", "label", "features")
+    out = None
+    for w in detectors.WEIGHTS:
+        model = detectors.fit_classifier(features, w)
+        part = detectors.evaluate(detectors.predict(model, tested), "class weight", str(int(w))).unionByName(detectors.evaluate_pairs(found, detectors.predict(model, shown), "class weight", str(int(w))))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query()
+def prompted_pair_outcomes(spark: SparkSession, d: str) -> DataFrame:
+    """run, setting, metric, value: pair outcomes of a prompted responder (a stand-in) with two shots and step by step,
+    and of fair coins, on the test pairs. An answer without a verdict counts as benign."""
+    train, _, found = _pair_sides(spark, d)
+    sides = written(_sides(spark, d, found), "pair-sides")
+    shots = prompts.pick_shots(train)
+    out = detectors.evaluate_pairs(found, pairwise.predict_random(sides.select("sample_id")), "random", "coin")
+    for style in prompts.ASK:
+        answers = prompts.score_with(prompts.build_prompts(sides, shots, style), prompts.stub_responder)
+        called = answers.select("sample_id", F.coalesce("verdict", F.lit(0)).alias("pred"))
+        out = out.unionByName(detectors.evaluate_pairs(found, called, "prompted", style))
+    return out
+
+
 # --- prompts ----------------------------------------------------------------------------------------------------------
 
 

@@ -1,31 +1,54 @@
-"""Exact edit distance for long texts: trimmed, then bit-parallel over Python integers, in Arrow batches."""
+"""Exact edit distance for texts of any length: trimmed, then bit-parallel over Python integers, in Arrow batches."""
 
 from __future__ import annotations
 
+import functools
+
 import pandas as pd
+from pyspark.sql import Column
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
-def edit_distance(a: str, b: str) -> int:
-    """Levenshtein distance in code points; time O(len(a) * len(b) / word size)."""
+def trimmed(a: str, b: str) -> tuple[str, str]:
+    """Both texts without their common begin and end, which never cost an edit."""
     n = min(len(a), len(b))
-    low = 0
-    while low < n and a[low] == b[low]:
-        low += 1
-    high = 0
-    while high < n - low and a[-1 - high] == b[-1 - high]:
-        high += 1
-    a, b = a[low : len(a) - high], b[low : len(b) - high]
+    low = _common(a, b, n)
+    high = _common(a[low:][::-1], b[low:][::-1], n - low)
+    return a[low : len(a) - high], b[low : len(b) - high]
+
+
+def _common(a: str, b: str, most: int) -> int:
+    """Length of the common begin, at most ``most``, by halving."""
+    low, high = 0, most
+    while low < high:
+        middle = (low + high + 1) // 2
+        if a[low:middle] == b[low:middle]:
+            low = middle
+        else:
+            high = middle - 1
+    return low
+
+
+def edit_distance(a: str, b: str, most: int | None = None) -> int:
+    """Levenshtein distance in code points; time O(len(a) * len(b) / word size). With ``most`` it stops once the
+    distance must be greater and returns most + 1."""
+    return _middle_distance(*trimmed(a, b), most)
+
+
+def _middle_distance(a: str, b: str, most: int | None) -> int:
     if not a or not b:
         return len(a) + len(b)
     if len(a) > len(b):
         a, b = b, a
+    limit = len(b) if most is None else most
+    if len(b) - len(a) > limit:
+        return limit + 1
     where: dict[str, int] = {}
     for i, c in enumerate(a):
         where[c] = where.get(c, 0) | 1 << i
     full, top = (1 << len(a)) - 1, 1 << (len(a) - 1)
-    plus, minus, distance = full, 0, len(a)
+    plus, minus, distance, left = full, 0, len(a), len(b)
     for c in b:
         match = where.get(c, 0)
         diagonal = (((match & plus) + plus) ^ plus) | match | minus
@@ -34,12 +57,34 @@ def edit_distance(a: str, b: str) -> int:
             distance += 1
         elif down & top:
             distance -= 1
+        left -= 1
+        if distance - left > limit:  # every character left saves one at most
+            return limit + 1
         up, down = ((up << 1) | 1) & full, (down << 1) & full
         plus, minus = down | (~(diagonal | up) & full), up & diagonal
     return distance
 
 
-@F.pandas_udf(T.DoubleType())
-def long_edit_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
-    """As edit_similarity, for texts of any length."""
-    return pd.Series([None if x is None or y is None else 1.0 if not x and not y else 1 - edit_distance(x, y) / max(len(x), len(y)) for x, y in zip(a, b, strict=True)], dtype="float64")
+@functools.lru_cache(maxsize=64)
+def _remembered(a: str, b: str, most: int) -> int:
+    """Versions of one text often differ in the same middle."""
+    return _middle_distance(a, b, most)
+
+
+def long_edit_similarity(a: Column | str, b: Column | str, floor: float = 0.0) -> Column:
+    """As edit_similarity, for texts of any length; below ``floor`` the value is some number below it."""
+
+    @F.pandas_udf(T.DoubleType())
+    def similarity(a: pd.Series, b: pd.Series) -> pd.Series:
+        out = []
+        for x, y in zip(a, b, strict=True):
+            longer = 0 if x is None or y is None else max(len(x), len(y))
+            if x is None or y is None:
+                out.append(None)
+            elif not longer:
+                out.append(1.0)
+            else:
+                out.append(1 - _remembered(*trimmed(x, y), int((1 - floor) * longer) + 1) / longer)
+        return pd.Series(out, dtype="float64")
+
+    return similarity(a, b)

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import udtf
 
 from ..sources.tables import TABLES, load
 
@@ -14,18 +13,10 @@ def register_functions(spark: SparkSession) -> None:
     spark.sql(r"CREATE OR REPLACE TEMPORARY FUNCTION norm_digest(t STRING) RETURNS STRING RETURN md5(translate(t, ' \t\n\r', ''))")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION hash_bucket(seed STRING, k STRING) RETURNS BIGINT RETURN cast(conv(substr(md5(concat(seed, k)), 1, 8), 16, 10) AS BIGINT) % 10000")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION miss_rate(fn BIGINT, tp BIGINT) RETURNS DOUBLE RETURN try_divide(fn, fn + tp)")
-    spark.udtf.register("mention_tokens", mention_tokens)
-
-
-@udtf(returnType="token string, pos int")
-class mention_tokens:
-    """(token, position) of every identifier of a text."""
-
-    def eval(self, text: str):
-        import re
-
-        for n, m in enumerate(re.finditer(r"[A-Za-z_][A-Za-z0-9_]*", text or "")):
-            yield m[0], n
+    spark.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION mention_tokens(t STRING) RETURNS TABLE(token STRING, pos INT) "
+        "RETURN SELECT x.col, x.pos FROM (SELECT posexplode(regexp_extract_all(coalesce(mention_tokens.t, ''), '[A-Za-z_][A-Za-z0-9_]*', 0)) AS (pos, col)) x"
+    )
 
 
 def register_tables(spark: SparkSession, sf_dir: str) -> None:

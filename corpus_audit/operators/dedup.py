@@ -57,21 +57,30 @@ def label_conflicts(df: DataFrame) -> DataFrame:
     return counts.where("n_flawed > 0 AND n_benign > 0")
 
 
-def near_copies(df: DataFrame, id_col: str = "doc_id", text: str = "text", min_jaccard: float = 0.5, k: int = 3, most_sharing: int = 200) -> DataFrame:
+def near_copies(df: DataFrame, id_col: str = "doc_id", text: str = "text", min_jaccard: float = 0.5, k: int = 3) -> DataFrame:
     """id_a, id_b, jaccard of texts over word k-grams, exactly, for pairs that share a prefix gram.
 
     Grams are ordered by rarity; a pair at or above the threshold shares one of the first n - ceil(t n) + 1 grams of
-    both. Sets of texts equal in full are compared once (through the smallest id)."""
-    grams = df.select(F.col(id_col).alias("id"), F.transform(shingles(F.col(text), k), lambda s: F.xxhash64(s)).alias("grams")).where(F.size("grams") > 0)
-    flat = grams.select("id", F.size("grams").alias("n"), F.explode("grams").alias("g"))
+    both. Texts with equal gram sets are one class: classes are compared through their smallest id, and pairs are
+    expanded at the end, so their number is that of the result."""
+    found = df.select(F.col(id_col).alias("id"), F.array_sort(F.transform(shingles(F.col(text), k), lambda s: F.xxhash64(s))).alias("grams")).where(F.size("grams") > 0)
+    found = found.withColumn("class", F.xxhash64("grams"))
+    members = found.select("id", "class")
+    grams = found.groupBy("class").agg(F.first("grams").alias("grams"))
+    flat = grams.select("class", F.size("grams").alias("n"), F.explode("grams").alias("g"))
     rarity = flat.groupBy("g").agg(F.count(F.lit(1)).alias("df"))
-    ranked = flat.join(rarity.where("df > 1"), "g", "left").withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy(F.coalesce("df", F.lit(1)), "g")))
-    prefix = ranked.where(F.col("r") <= F.col("n") - F.ceil(F.col("n") * F.lit(min_jaccard)) + 1).where("df IS NOT NULL").select("id", "n", "g")
-    a, b = prefix.select(F.col("id").alias("id_a"), F.col("n").alias("n_a"), "g"), prefix.select(F.col("id").alias("id_b"), F.col("n").alias("n_b"), "g")
-    pairs = a.join(b, "g").where((F.col("id_a") < F.col("id_b")) & (F.least("n_a", "n_b") >= F.greatest("n_a", "n_b") * min_jaccard)).select("id_a", "id_b").distinct()
-    joined = pairs.join(grams.select(F.col("id").alias("id_a"), F.col("grams").alias("ga")), "id_a").join(grams.select(F.col("id").alias("id_b"), F.col("grams").alias("gb")), "id_b")
-    scored = joined.select("id_a", "id_b", (F.size(F.array_intersect("ga", "gb")) / F.size(F.array_union("ga", "gb"))).alias("jaccard"))
-    return scored.where(F.col("jaccard") >= min_jaccard)
+    ranked = flat.join(rarity.where("df > 1"), "g", "left").withColumn("r", F.row_number().over(Window.partitionBy("class").orderBy(F.coalesce("df", F.lit(1)), "g")))
+    prefix = ranked.where(F.col("r") <= F.col("n") - F.ceil(F.col("n") * F.lit(min_jaccard)) + 1).where("df IS NOT NULL").select("class", "n", "g")
+    a, b = (prefix.select(F.col("class").alias(f"class_{x}"), F.col("n").alias(f"n_{x}"), "g") for x in "ab")
+    pairs = a.join(b, "g").where((F.col("class_a") < F.col("class_b")) & (F.least("n_a", "n_b") >= F.greatest("n_a", "n_b") * min_jaccard)).select("class_a", "class_b").distinct()
+    joined = pairs.join(grams.select(F.col("class").alias("class_a"), F.col("grams").alias("ga")), "class_a").join(grams.select(F.col("class").alias("class_b"), F.col("grams").alias("gb")), "class_b")
+    scored = joined.select("class_a", "class_b", (F.size(F.array_intersect("ga", "gb")) / F.size(F.array_union("ga", "gb"))).alias("jaccard"))
+    same = members.select(F.col("class").alias("class_a"), F.col("class").alias("class_b"), F.lit(1.0).alias("jaccard")).distinct()
+    met = scored.where(F.col("jaccard") >= min_jaccard).unionByName(same)
+    whole = met.join(members.select(F.col("id").alias("id_1"), F.col("class").alias("class_a")), "class_a").join(members.select(F.col("id").alias("id_2"), F.col("class").alias("class_b")), "class_b")
+    # inside a class every pair comes in both orders, between classes in one
+    kept = whole.where((F.col("class_a") != F.col("class_b")) | (F.col("id_1") < F.col("id_2")))
+    return kept.select(F.least("id_1", "id_2").alias("id_a"), F.greatest("id_1", "id_2").alias("id_b"), "jaccard")
 
 
 def near_copies_lsh(df: DataFrame, id_col: str = "doc_id", text: str = "text", min_jaccard: float = 0.5, k: int = 3, tables: int = 12, seed: int = 42) -> DataFrame:

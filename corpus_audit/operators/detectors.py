@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.text import bucket, tokens
 from .metrics import confusion, miss_rate_at_fpr, rates
+from .pairwise import attach, pair_outcomes
 
 WEIGHTS = (1.0, 5.0, 20.0, 30.0, 40.0)  # fixed values
 LEARNING_RATE = 2e-5  # fixed value
@@ -57,6 +58,17 @@ def evaluate(predicted: DataFrame, name: str, setting: str) -> DataFrame:
     return measured.select(F.lit(name).alias("run"), F.lit(setting).alias("setting"), F.expr("stack(5, 'accuracy', accuracy, 'f1', f1, 'recall', recall, 'fpr', fpr, 'capped_miss', capped_miss) AS (metric, value)"))
 
 
+def evaluate_pairs(pairs: DataFrame, predicted: DataFrame, name: str, setting: str) -> DataFrame:
+    """Long form of the four pair outcomes in percent and the numbers of pairs with and without both predictions."""
+    measured = pair_outcomes(attach(pairs, predicted))
+    return measured.select(F.lit(name).alias("run"), F.lit(setting).alias("setting"), F.expr("stack(6, 'p_c', p_c, 'p_v', p_v, 'p_b', p_b, 'p_r', p_r, 'n_pairs', double(n_pairs), 'n_missing', double(n_missing)) AS (metric, value)"))
+
+
+def epochs_for(size: str) -> int:
+    """Passes over the training data that the size class of a model takes."""
+    return EPOCHS[size]
+
+
 def sweep_class_weights(train: DataFrame, test: DataFrame, weights: tuple[float, ...] = WEIGHTS) -> DataFrame:
     out = None
     for w in weights:

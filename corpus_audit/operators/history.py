@@ -136,10 +136,11 @@ def natural_samples(spark: SparkSession, sf_dir: str, label: str = "quality") ->
     return rows.join(dated, "commit_id", "left").select(F.col("doc_id").cast("string").alias("sample_id"), "doc_id", "text", "source", "label", "commit_id", "commit_ts")
 
 
-def attach_context(samples: DataFrame, changes: DataFrame, scope: str = "commit", most: int = 20) -> DataFrame:
-    """samples with context: up to ``most`` other functions of the same commit (or file in it), by function id."""
+def attach_context(samples: DataFrame, changes: DataFrame, scope: str = "commit", most: int | None = 20) -> DataFrame:
+    """samples with context: up to ``most`` (None: all) other functions of the same commit (or file in it), by function id."""
     key = ["commit_id"] if scope == "commit" else ["commit_id", "file_name"]
     others = changes.select(*key, F.struct("function_id", "function_name", F.col("pre_digest").alias("digest")).alias("other"))
     joined = samples.select("sample_id", "function_id", *key).join(others, key).where(F.col("function_id") != F.col("other.function_id"))
-    context = joined.groupBy("sample_id").agg(F.slice(F.sort_array(F.collect_set("other")), 1, most).alias("context"))
+    every = F.sort_array(F.collect_set("other"))
+    context = joined.groupBy("sample_id").agg((every if most is None else F.slice(every, 1, most)).alias("context"))
     return samples.join(context, "sample_id", "left")

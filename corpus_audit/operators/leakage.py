@@ -34,8 +34,8 @@ def copy_rate_bruteforce(samples: DataFrame, text: str = "text") -> DataFrame:
     return test.join(hit.withColumn("hit", F.lit(1)), "sample_id", "left").agg(F.count(F.lit(1)).alias("n_test"), F.count("hit").alias("n_copied"))
 
 
-def copy_report(samples: DataFrame, most: int = 10) -> DataFrame:
-    """Digests with several rows: counts, splits, labels, up to ``most`` commits, and the likely cause."""
+def copy_report(samples: DataFrame) -> DataFrame:
+    """Digests with several rows: counts, splits, first and last commit, and the likely cause."""
     per = samples.groupBy("digest").agg(
         F.count(F.lit(1)).alias("n"), F.min("commit_id").alias("first_commit"), F.max("commit_id").alias("last_commit"),
         F.array_join(F.sort_array(F.collect_set("split")), "+").alias("splits"), F.min("label").alias("_lo"), F.max("label").alias("_hi"), F.min("side").alias("_s0"), F.max("side").alias("_s1"),
@@ -78,10 +78,16 @@ def contained_in(train: DataFrame, items: DataFrame, k: int = 5, broadcast_items
     words = tokens(F.col("text"))
     long_enough = F.size(words) >= k + 2
     probes = items.where(long_enough).select("item_id", F.col("text").alias("passage"), F.xxhash64(F.array_join(F.slice(words, 2, k), " ")).alias("gram"))
+    grams_of = F.transform(runs(words, k), lambda x: F.xxhash64(x))
     if items.count() <= broadcast_items:
+        # the sorted probe digests go to the scan as one array: a gram that probes nothing is never a row
+        wanted = probes.agg(F.array_sort(F.collect_set("gram")).alias("wanted"))
+        near = train.select("doc_id", grams_of.alias("own")).crossJoin(F.broadcast(wanted))
+        grams = near.select("doc_id", F.explode(F.array_intersect("own", "wanted")).alias("gram"))
         probes = F.broadcast(probes)
-    # texts stay behind while grams meet probes
-    grams = train.select("doc_id", F.explode(F.array_distinct(F.transform(runs(words, k), lambda x: F.xxhash64(x)))).alias("gram"))
+    else:
+        # texts stay behind while grams meet probes
+        grams = train.select("doc_id", F.explode(F.array_distinct(grams_of)).alias("gram"))
     met = grams.join(probes, "gram").select("item_id", "doc_id", "passage").distinct()
     hits = met.join(train.select("doc_id", "text"), "doc_id").where(F.contains("text", "passage")).select("item_id", "doc_id")
     short = items.where(~long_enough).select("item_id", F.col("text").alias("passage"))

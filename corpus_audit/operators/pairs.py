@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.edit import long_edit_similarity
@@ -11,14 +11,9 @@ from ..functions.text import similarity
 FLOOR = 0.8  # fixed value
 
 
-def fold_ascii(text: Column) -> Column:
-    """Characters outside ASCII as question marks, for engines that count bytes."""
-    return F.regexp_replace(text, r"[^\x00-\x7F]", "?")
-
-
-def gated_versions(versions: DataFrame, min_similarity: float = FLOOR, metric: str = "edit", long_from: int = 4_000) -> DataFrame:
+def gated_versions(versions: DataFrame, min_similarity: float = FLOOR, metric: str = "edit", long_from: int = 200) -> DataFrame:
     """Text versions with both sides and their similarity. Once per distinct version; texts from ``long_from``
-    characters take the bit-parallel distance in Arrow batches, shorter ones stay in the JVM."""
+    characters take the bit-parallel distance in Arrow batches, which stops at the floor; shorter ones stay in the JVM."""
     both = versions.where("pre_text IS NOT NULL AND post_text IS NOT NULL")
     longer, shorter = F.greatest(F.length("pre_text"), F.length("post_text")), F.least(F.length("pre_text"), F.length("post_text"))
     if metric != "edit":
@@ -26,7 +21,7 @@ def gated_versions(versions: DataFrame, min_similarity: float = FLOOR, metric: s
     # the distance is at least the difference of the lengths
     possible = both.where(shorter >= longer * min_similarity)
     short = possible.where(longer < long_from).withColumn("similarity", similarity(F.col("pre_text"), F.col("post_text"), "edit"))
-    long = possible.where(longer >= long_from).withColumn("similarity", long_edit_similarity("pre_text", "post_text"))
+    long = possible.where(longer >= long_from).withColumn("similarity", long_edit_similarity("pre_text", "post_text", min_similarity))
     return short.unionByName(long).where(F.col("similarity") >= min_similarity)
 
 
@@ -58,5 +53,5 @@ def pairs_from_near_copies(documents: DataFrame, near: DataFrame, min_similarity
     """Natural pairs: near copies whose edit similarity passes the floor (long texts included)."""
     a, b = (documents.select(F.col("doc_id").alias(f"id_{x}"), F.col("text").alias(f"text_{x}")) for x in "ab")
     joined = near.select("id_a", "id_b").join(a, "id_a").join(b, "id_b").where(F.least(F.length("text_a"), F.length("text_b")) >= F.greatest(F.length("text_a"), F.length("text_b")) * min_similarity)
-    scored = joined.select("id_a", "id_b", F.round(long_edit_similarity("text_a", "text_b"), 6).alias("similarity"))
+    scored = joined.select("id_a", "id_b", F.round(long_edit_similarity("text_a", "text_b", min_similarity), 6).alias("similarity"))
     return scored.where(F.col("similarity") >= min_similarity)

@@ -27,9 +27,9 @@ PLAN = {
     "labeler_contrast": [("labeler_overlap", ("labeler",), "n_flawed")],
     "pair_build": [("pair_split_stats", ("split",), "n_pairs"), ("unpaired_reasons", ("reason",), "n")],
     "detector_grid": [("cross_corpus", ("run", "setting", "metric"), None), ("miss_rate_by_group", ("grp",), "n_pos")],
-    "weight_grid": [("class_weight_loss", ("weight",), None), ("class_weight_sweep", ("run", "setting", "metric"), None)],
+    "weight_grid": [("class_weight_loss", ("weight",), None), ("class_weight_sweep", ("run", "setting", "metric"), None), ("detector_pair_outcomes", ("run", "setting", "metric"), None)],
     "contrast_grid": [("contrastive_any", ("batch_id",), "n"), ("contrastive_class_aware", ("batch_id",), "n"), ("joint_fit", ("run", "setting", "metric"), None)],
-    "prompt_grid": [("pair_outcomes", ("variant",), "n_pairs"), ("pair_outcomes_random", (), "n_pairs")],
+    "prompt_grid": [("prompted_pair_outcomes", ("run", "setting", "metric"), None), ("pair_outcomes", ("variant",), "n_pairs"), ("pair_outcomes_random", (), "n_pairs")],
     "cap_sweep": [("miss_rate_sweep", ("r_ppm",), "n_pos"), ("miss_rate_ties", ("r_ppm",), "n_pos")],
     "metric_agreement": [("metric_correlation", ("metrics",), "n_runs")],
     "published_counts": [("published_reconstruction", ("run",), None)],
