@@ -113,7 +113,7 @@ FOUND = "query_id long, vec_id long, score double"
 
 
 def _nearest(
-    rows: DataFrame, width: int, n: int, k: int, query_step: int, lists: float = 4.0, copies: int = 2, replicate: float = 1.12, prune: float = 1.4, probe: float = 0.22,
+    rows: DataFrame, width: int, n: int, k: int, query_step: int, lists: float = 4.0, copies: int = 3, replicate: float = 1.25, prune: float = 2.0, probe: float = 0.3,
     least_lists: int = 8, list_rows: int = 20_000, list_queries: int = 5_000,
 ) -> DataFrame:
     spark = rows.sparkSession
