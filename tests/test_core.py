@@ -9,6 +9,9 @@ from corpus_audit import catalogue, published
 from corpus_audit.functions.edit import edit_distance
 from corpus_audit.operators import annotate, contrast, dedup, history, labelers, leakage, metrics, pairwise, splits
 from corpus_audit.plans.prefix import plan_problems, running_before
+from corpus_audit.sources.tables import load
+
+from .oracle import differences
 
 CHANGE = "commit_id long, commit_ts timestamp_ntz, project_id long, weakness string, file_name string, function_id long, function_name string, pre_digest string, post_digest string"
 
@@ -209,3 +212,12 @@ def test_plans_have_no_cartesian_product(spark):
     df = spark.range(100).select(F.col("id").cast("string").alias("sample_id"), "id", (F.col("id") % 2).cast("int").alias("label"), F.col("id").cast("double").alias("score"))
     assert plan_problems(metrics.error_curve(df)) == []
     assert plan_problems(splits.downsample_benign(df)) == []
+
+
+def test_compare_runs_follows_the_tables(spark, tmp_path):
+    """A part of the rows gives other results; the SQL agrees."""
+    for name in ("events", "lineitem"):
+        load(spark, "/root/testdata/sf0.001", name).where(f"{'event_id' if name == 'events' else 'l_orderkey'} % 3 > 0").write.parquet(f"{tmp_path}/{name}.parquet")
+    part, whole = catalogue.compare_runs(spark, str(tmp_path)), catalogue.compare_runs(spark, "/root/testdata/sf0.001")
+    assert sorted(map(str, part.collect())) != sorted(map(str, whole.collect()))
+    assert differences(whole, catalogue.oracle_sql()["compare_runs"], "/root/testdata/sf0.001") == ""
