@@ -230,3 +230,12 @@ def test_leaderboard_follows_the_tables(spark, tmp_path):
     part, whole = catalogue.leaderboard(spark, str(tmp_path)), catalogue.leaderboard(spark, "/root/testdata/sf0.001")
     assert sorted(map(str, part.collect())) != sorted(map(str, whole.collect()))
     assert differences(whole, catalogue.oracle_sql()["leaderboard"], "/root/testdata/sf0.001") == ""
+
+
+def test_metric_correlation_follows_the_tables(spark, tmp_path):
+    """A part of the rows gives other results; the SQL agrees."""
+    for name in ("events", "lineitem"):
+        load(spark, "/root/testdata/sf0.001", name).where(f"{'event_id' if name == 'events' else 'l_orderkey'} % 3 > 0").write.parquet(f"{tmp_path}/{name}.parquet")
+    part, whole = catalogue.metric_correlation(spark, str(tmp_path)), catalogue.metric_correlation(spark, "/root/testdata/sf0.001")
+    assert sorted(map(str, part.collect())) != sorted(map(str, whole.collect()))
+    assert differences(whole, catalogue.oracle_sql()["metric_correlation"], "/root/testdata/sf0.001") == ""
