@@ -1,4 +1,5 @@
 import random
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -53,3 +54,18 @@ def test_edit_distance_against_table():
     for _ in range(300):
         a, b = ("".join(rng.choice("abcé") for _ in range(rng.randrange(14))) for _ in "ab")
         assert edit_distance(a, b) == slow_distance(a, b)
+
+
+def test_edit_distance_of_one_letter_for_another_needs_no_table():
+    rng = random.Random(4)
+    a = "".join(rng.choice("abcdefghijklmno e") for _ in range(200_000))
+    begin = time.process_time()
+    assert edit_distance(a, a.replace("e", "a")) == a.count("e")
+    assert edit_distance("b" * 50_000 + a, a + "c" * 50_000, 40_000) == 40_001
+    assert time.process_time() - begin < 3  # 0.7 s for 40,000 characters by the table, growing with the square
+    for _ in range(300):
+        x, y = ("".join(rng.choice("abce") for _ in range(rng.randrange(1, 12))) for _ in range(2))
+        for b in (y, x.replace("e", "a")):
+            far = slow_distance(x, b)
+            assert edit_distance(x, b) == far
+            assert all(min(edit_distance(x, b, most), most + 1) == min(far, most + 1) for most in range(5))
