@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions.edit import long_edit_similarity
 from ..functions.text import similarity
+from ..plans.materialise import written
+from .near import near_links
 
 FLOOR = 0.8  # fixed value
 
@@ -49,9 +51,14 @@ def unpaired_reasons(flawed: DataFrame, pairs: DataFrame, samples: DataFrame) ->
     return joined.groupBy(reason.alias("reason")).agg(F.count(F.lit(1)).alias("n"))
 
 
-def pairs_from_near_copies(documents: DataFrame, near: DataFrame, min_similarity: float = FLOOR) -> DataFrame:
-    """Natural pairs: near copies whose edit similarity passes the floor (long texts included)."""
-    a, b = (documents.select(F.col("doc_id").alias(f"id_{x}"), F.col("text").alias(f"text_{x}")) for x in "ab")
-    joined = near.select("id_a", "id_b").join(a, "id_a").join(b, "id_b").where(F.least(F.length("text_a"), F.length("text_b")) >= F.greatest(F.length("text_a"), F.length("text_b")) * min_similarity)
-    scored = joined.select("id_a", "id_b", F.round(long_edit_similarity("text_a", "text_b", min_similarity), 6).alias("similarity"))
-    return scored.where(F.col("similarity") >= min_similarity)
+def natural_pairs(documents: DataFrame, min_similarity: float = FLOOR, min_jaccard: float = 0.5, k: int = 3) -> DataFrame:
+    """id_a, id_b, similarity, kind of natural pairs: near copies whose edit similarity passes the floor, long texts included.
+
+    kind "link": two different texts, each named by its smallest id; "copy": that smallest id and another one with the
+    equal text. Copies are not paired with each other."""
+    members, links = near_links(documents, min_jaccard=min_jaccard, k=k, floor=min_similarity)
+    members, links = written(members, "near-members"), written(links, "near-links")
+    a, b = (members.select(F.col("class").alias(x), F.col("rep").alias(f"rep_{x}")).distinct() for x in "ab")
+    linked = links.join(a, "a").join(b, "b").select(F.least("rep_a", "rep_b").alias("id_a"), F.greatest("rep_a", "rep_b").alias("id_b"), "similarity", F.lit("link").alias("kind"))
+    copies = members.where("id <> rep").select(F.col("rep").alias("id_a"), F.col("id").alias("id_b"), F.lit(1.0).alias("similarity"), F.lit("copy").alias("kind"))
+    return linked.unionByName(copies)
