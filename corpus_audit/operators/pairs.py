@@ -7,8 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.edit import long_edit_similarity
 from ..functions.text import similarity
-from ..plans.materialise import written
-from .near import near_links
+from .near import by_smallest_ids, near_links
 
 FLOOR = 0.8  # fixed value
 
@@ -57,8 +56,4 @@ def natural_pairs(documents: DataFrame, min_similarity: float = FLOOR, min_jacca
     kind "link": two different texts, each named by its smallest id; "copy": that smallest id and another one with the
     equal text. Copies are not paired with each other."""
     members, links = near_links(documents, min_jaccard=min_jaccard, k=k, floor=min_similarity)
-    members, links = written(members, "near-members"), written(links, "near-links")
-    a, b = (members.select(F.col("class").alias(x), F.col("rep").alias(f"rep_{x}")).distinct() for x in "ab")
-    linked = links.join(a, "a").join(b, "b").select(F.least("rep_a", "rep_b").alias("id_a"), F.greatest("rep_a", "rep_b").alias("id_b"), "similarity", F.lit("link").alias("kind"))
-    copies = members.where("id <> rep").select(F.col("rep").alias("id_a"), F.col("id").alias("id_b"), F.lit(1.0).alias("similarity"), F.lit("copy").alias("kind"))
-    return linked.unionByName(copies)
+    return by_smallest_ids(members, links, "similarity")

@@ -4,6 +4,7 @@ import random
 from pyspark.sql import functions as F
 
 from corpus_audit.functions.edit import edit_distance, edit_distances
+from corpus_audit.operators.dedup import near_copies_lsh
 from corpus_audit.operators.pairs import natural_pairs
 
 
@@ -50,6 +51,23 @@ def test_natural_pairs_equal_brute_force(spark):
         assert set(found) == expected(rows)
 
 
+def test_sketches_lose_no_link_and_expand_no_copies(spark):
+    rows = families(3) + [(2000 + i, "a text of five words") for i in range(40)]
+    ids = {}
+    for i, text in sorted(rows):
+        if text and shingles(text):
+            ids.setdefault(text, []).append(i)
+    wanted = {(v[0], i, 1.0, "copy") for v in ids.values() for i in v[1:]}
+    for (x, i), (y, j) in itertools.combinations(ids.items(), 2):
+        a, b = shingles(x), shingles(y)
+        if len(a & b) / len(a | b) >= 0.5:
+            wanted.add((min(i[0], j[0]), max(i[0], j[0]), round(len(a & b) / len(a | b), 6), "link"))
+    got = near_copies_lsh(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    found = [(r["id_a"], r["id_b"], round(r["jaccard"], 6), r["kind"]) for r in got]
+    assert len(found) == len(set(found))
+    assert set(found) == wanted
+
+
 def test_copies_make_a_row_each(spark):
     rows = [(i, "one two three four five") for i in range(300)] + [(1000 + i, f"a b c d e f g h i j k l m n o p q r s t u v w x {i % 2}") for i in range(300)]
     got = natural_pairs(spark.createDataFrame(rows, "doc_id long, text string"))
