@@ -21,6 +21,7 @@ from __future__ import annotations
 import hashlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
@@ -38,16 +39,19 @@ BLOCK = 32
 class BlockMaxIndex:
     """Unit TF-IDF vectors of the examples in blocks, with the greatest weight of every term in each block."""
 
-    def __init__(self, vectors: list[dict[int, float]], labels: np.ndarray, ids: np.ndarray, n_terms: int):
+    def __init__(self, vectors: list, labels: np.ndarray, ids: np.ndarray, n_terms: int):
+        """vectors: dicts, or (terms ascending, weights)."""
+        vectors = [_arrays(v) if isinstance(v, dict) else v for v in vectors]
         # examples with the same heaviest term become neighbours, so that blocks differ in their bounds
-        heaviest = [max(v, key=lambda t: (v[t], -t)) if v else -1 for v in vectors]
+        heaviest = [int(t[np.argmax(w)]) if len(t) else -1 for t, w in vectors]
         self.order = np.array(sorted(range(len(vectors)), key=lambda i: (heaviest[i], i)), np.int64)
+        self.place = np.argsort(self.order)
         self.labels, self.ids = labels, ids
         self.n_blocks = -(-len(vectors) // BLOCK)
-        sizes = np.array([len(vectors[i]) for i in self.order], np.int64)
+        sizes = np.array([len(vectors[i][0]) for i in self.order], np.int64)
         self.rows = np.r_[0, np.cumsum(sizes)]
-        self.terms = np.fromiter((t for i in self.order for t in vectors[i]), np.int32, int(self.rows[-1]))
-        self.weights = np.fromiter((w for i in self.order for w in vectors[i].values()), np.float64, int(self.rows[-1]))
+        self.terms = np.concatenate([np.empty(0, np.int32), *(vectors[i][0] for i in self.order)]).astype(np.int32)
+        self.weights = np.concatenate([np.empty(0), *(vectors[i][1] for i in self.order)])
         block = (np.repeat(np.arange(len(vectors)), sizes) // BLOCK).astype(np.int64)
         at = np.lexsort((block, self.terms))
         term, block, weight = self.terms[at].astype(np.int64), block[at], self.weights[at]
@@ -62,40 +66,57 @@ class BlockMaxIndex:
         self.query = np.zeros(n_terms)
         self.visited = self.asked = 0
 
+    def vector(self, number: int) -> tuple[np.ndarray, np.ndarray]:
+        """The terms and weights of an example."""
+        at = slice(self.rows[self.place[number]], self.rows[self.place[number] + 1])
+        return self.terms[at].astype(np.int64), self.weights[at]
+
     def nearest(self, query: dict[int, float], k: int, without: int = -1) -> list[tuple[float, int]]:
         """The k highest (cosine, example number), ties to the smaller number; only positive cosines."""
-        if not query or not self.n_blocks:
-            return []
-        terms = np.fromiter(query, np.int64, len(query))
-        weights = np.fromiter(query.values(), np.float64, len(query))
+        scores, numbers = self.search(*_arrays(query), k, without)
+        return list(zip(scores.tolist(), numbers.tolist(), strict=True))
+
+    def search(self, terms: np.ndarray, weights: np.ndarray, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
+        """As ``nearest``, with ascending terms and arrays."""
+        if not len(terms) or not self.n_blocks:
+            return np.empty(0), np.empty(0, np.int64)
         flat, size = _ranges(self.max_cut[terms], self.max_cut[terms + 1])
         bound = np.bincount(self.max_block[flat], np.repeat(weights, size) * self.max_weight[flat], self.n_blocks)
         self.query[terms] = weights
         ranked = np.argsort(-bound, kind="stable")
         scores, rows, floor = np.empty(0), np.empty(0, np.int64), 0.0
-        for low, high in ((0, 2), (2, self.n_blocks)):
+        # where many bounds are close to the highest, two blocks settle little: the lists are then read at once
+        close = np.count_nonzero(bound > bound[ranked[0]] / 2) > self.n_blocks // 16
+        for low, high in ((0, self.n_blocks),) if close else ((0, 2), (2, self.n_blocks)):
             part = ranked[low:high]
             part = part[bound[part] > max(0.0, floor - 1e-12)]
             if not len(part):
                 break
-            at, _ = _ranges(part * BLOCK, np.minimum((part + 1) * BLOCK, len(self.order)))
-            found = self._by_row(at) if len(part) <= self.n_blocks // 16 else self._by_term(terms, weights)[at]
+            at = (part[:, None] * BLOCK + np.arange(BLOCK)).ravel()
+            at = at[at < len(self.order)]
+            found = np.concatenate([self._of_block(p) for p in part]) if len(part) <= self.n_blocks // 16 else self._by_term(terms, weights)[at]
             keep = (found > max(0.0, floor - 1e-12)) & (self.order[at] != without)
-            scores, rows = np.r_[scores, found[keep]], np.r_[rows, at[keep]]
+            scores, rows = np.concatenate((scores, found[keep])), np.concatenate((rows, at[keep]))
             self.visited += len(part)
             if len(scores) >= k:
                 floor = float(np.partition(scores, len(scores) - k)[len(scores) - k])
         self.asked += self.n_blocks
         self.query[terms] = 0.0
-        scores, numbers = np.round(scores, 12), self.order[rows]
+        # scores are compared after rounding, so what rounds like the k-th stays
+        near = scores >= floor - 1e-11
+        scores, numbers = np.round(scores[near], 12), self.order[rows[near]]
         best = np.lexsort((numbers, -scores))[:k]
-        return [(float(scores[i]), int(numbers[i])) for i in best]
-
-    def _by_row(self, rows: np.ndarray) -> np.ndarray:
-        """The cosines of rows, from their own weights."""
-        flat, size = _ranges(self.rows[rows], self.rows[rows + 1])
-        each = self.weights[flat] * self.query[self.terms[flat]]
-        return np.bincount(np.repeat(np.arange(len(rows)), size), each, len(rows))
+        return scores[best], numbers[best]
+
+    def _of_block(self, block: int) -> np.ndarray:
+        """The cosines of the rows of a block, from their own weights."""
+        cuts = self.rows[block * BLOCK : (block + 1) * BLOCK + 1]
+        low, high = cuts[0], cuts[-1]
+        each = self.weights[low:high] * self.query[self.terms[low:high]]
+        found, full = np.zeros(len(cuts) - 1), cuts[1:] > cuts[:-1]
+        if high > low:
+            found[full] = np.add.reduceat(each, cuts[:-1][full] - low)
+        return found
 
     def _by_term(self, terms: np.ndarray, weights: np.ndarray) -> np.ndarray:
         """The cosines of all rows, from the lists of the query's terms."""
@@ -103,20 +124,39 @@ class BlockMaxIndex:
         return np.bincount(self.post_row[flat], np.repeat(weights, size) * self.post_weight[flat], len(self.order))
 
 
+def _arrays(vector: dict[int, float]) -> tuple[np.ndarray, np.ndarray]:
+    """The terms of a vector, ascending, and their weights."""
+    terms = np.array(sorted(vector), np.int64)
+    return terms, np.array([vector[t] for t in terms.tolist()], float)
+
+
 def _ranges(low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The numbers of all ranges [low, high) one after the other, and the size of each range."""
     size = high - low
-    return np.repeat(low - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum()), size
+    end = np.cumsum(size)
+    return np.repeat(low - end + size, size) + np.arange(end[-1] if len(end) else 0), size
 
 
 def unit(counts: dict[int, int], weight: np.ndarray) -> dict[int, float]:
     """The unit vector of term counts, terms in ascending order."""
-    if not counts:
-        return {}
-    terms = np.array(sorted(counts), np.int64)
-    values = (1 + np.log(np.array([counts[t] for t in terms.tolist()], float))) * weight[terms]
+    terms, values = unit_arrays(*_arrays(counts), weight)
+    return dict(zip(terms.tolist(), values.tolist(), strict=True))
+
+
+def unit_arrays(terms: np.ndarray, counts: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """As ``unit``, with ascending terms and arrays."""
+    values = (1 + np.log(counts)) * weight[terms]
     norm = float(np.sqrt(values @ values))
-    return dict(zip(terms.tolist(), (values / norm).tolist(), strict=True)) if norm > 0 else {}
+    return (terms, values / norm) if norm > 0 else (terms[:0], values[:0])
+
+
+def known_terms(words, number: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of the known words, ascending, and how often each occurs."""
+    counts = Counter(words)
+    terms = np.fromiter(map(number.get, counts, repeat(-1)), np.int64, len(counts))
+    times = np.fromiter(counts.values(), np.float64, len(counts))
+    at = np.argsort(terms)[np.count_nonzero(terms < 0) :]
+    return terms[at], times[at]
 
 
 def _relevance(toxic: np.ndarray, df: np.ndarray, n_toxic: int, n: int) -> np.ndarray:
@@ -138,8 +178,9 @@ def document_frequencies(docs: DataFrame, number: dict[str, int], chunk: int = 8
             for text in batch["text"]:
                 n += 1
                 if text:
-                    hit = [known[w] for w in set(_WORD.findall(text.lower())) if w in known]
-                    df[hit] += 1
+                    words = set(_WORD.findall(text.lower()))
+                    # a word that is not known counts in the last place, which is overwritten
+                    df[np.fromiter(map(known.get, words, repeat(size)), np.int64, len(words))] += 1
         df[size] = n
         group = TaskContext.get().partitionId() // 64
         rows = [(group, low // chunk, df[low : low + chunk].tobytes()) for low in range(0, size + 1, chunk)]
@@ -169,47 +210,70 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most_examples:
             yield pd.DataFrame({"doc_id": batch["doc_id"], "label": batch["label"], "terms": [list(c.keys()) for c in counts], "times": [list(c.values()) for c in counts]})
 
     chosen = written(sample.mapInPandas(counted, "doc_id long, label int, terms array<string>, times array<int>"), "toxic-sample")
-    examples = sorted(chosen.collect(), key=lambda r: (r["doc_id"], r["terms"], r["times"]))
-    number: dict[str, int] = {t: i for i, t in enumerate(sorted({t for r in examples for t in r["terms"]}))}
-    marks = np.array([r["label"] for r in examples], np.int64)
+    marks, ids, rows, words, times = _flat(chosen)
+    flat = words.dictionary_encode()
+    found = flat.dictionary.to_pylist()
+    # numbers follow the order of the words
+    order = sorted(range(len(found)), key=found.__getitem__)
+    number: dict[str, int] = {found[i]: n for n, i in enumerate(order)}
+    terms = np.argsort(np.array(order, np.int64))[flat.indices.to_numpy(zero_copy_only=False)] if found else np.empty(0, np.int64)
     df, n_docs = document_frequencies(docs, number)
-    own, toxic = np.zeros(len(number), np.int64), np.zeros(len(number), np.int64)
-    for r in examples:
-        at = [number[t] for t in r["terms"]]
-        own[at] += 1
-        toxic[at] += r["label"]
-    n, n_toxic = len(examples), int(marks.sum())
+    n, n_toxic = len(marks), int(marks.sum())
+    own = np.bincount(terms, minlength=len(number))
+    toxic = np.bincount(terms, np.repeat(marks, np.diff(rows)), len(number))
     weight = (np.log((1 + n_docs) / (1 + df)) + 1) * _relevance(toxic, own, n_toxic, n) ** 2 if n else np.zeros(0)
-    vectors = [unit({number[t]: c for t, c in zip(r["terms"], r["times"], strict=True)}, weight) for r in examples]
-    index = BlockMaxIndex(vectors, marks.astype(float), np.array([r["doc_id"] for r in examples], np.int64), len(number))
+    vectors = []
+    for low, high in zip(rows[:-1], rows[1:], strict=True):
+        at = low + np.argsort(terms[low:high])
+        vectors.append(unit_arrays(terms[at], times[at].astype(float), weight))
+    index = BlockMaxIndex(vectors, marks.astype(float), ids, len(number))
     # a text without known words is as toxic as texts are on the whole
     base = n_toxic / (n + 1)
     model = {"number": number, "weight": weight, "index": index, "base": base, "k": k, "curve": None}
     if 0 < n_toxic < n:
-        model["curve"] = calibrated(spark, model, vectors)
+        model["curve"] = calibrated(spark, model)
     return model
 
 
-def vote(index: BlockMaxIndex, near: list[tuple[float, int]], base: float, prior: float = 0.1) -> float:
+def _flat(chosen: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, pa.Array, np.ndarray]:
+    """(labels, ids, cuts, words, times) of the examples by doc_id (equal ones by words and times), end to end: as
+    buffers, for lists of words would take many times their size on the driver."""
+    got = chosen.toArrow().combine_chunks()
+    if not got.num_rows:
+        return np.empty(0, np.int64), np.empty(0, np.int64), np.zeros(1, np.int64), pa.array([], pa.string()), np.empty(0, np.int64)
+    ids = got["doc_id"].to_numpy()
+    order = np.argsort(ids, kind="stable")
+    run = np.flatnonzero(np.r_[True, np.diff(ids[order]) != 0])
+    for low, high in zip(run, np.r_[run[1:], len(order)], strict=True):
+        if high - low > 1:
+            order[low:high] = sorted(order[low:high], key=lambda i: (got["terms"][int(i)].as_py(), got["times"][int(i)].as_py()))
+    got = got.take(pa.array(order)).combine_chunks()
+    terms, times = got["terms"].combine_chunks(), got["times"].combine_chunks()
+    sizes = np.asarray(terms.value_lengths(), np.int64)
+    return got["label"].to_numpy().astype(np.int64), ids[order], np.r_[0, np.cumsum(sizes)], terms.flatten(), times.flatten().to_numpy()
+
+
+def vote(index: BlockMaxIndex, near: tuple[np.ndarray, np.ndarray], base: float, prior: float = 0.1) -> float:
     """Toxic share of the neighbours' similarity, drawn to the base rate where they are far."""
-    weight = sum(s for s, _ in near)
-    return float((sum(s * index.labels[i] for s, i in near) + prior * base) / (weight + prior))
+    scores, numbers = near
+    return float((scores @ index.labels[numbers] + prior * base) / (scores.sum() + prior))
 
 
-def calibrated(spark, model: dict, vectors: list[dict[int, float]], rounds: int = 50) -> tuple[float, float]:
+def calibrated(spark, model: dict, rounds: int = 50) -> tuple[float, float]:
     """(slope, shift) of a logistic curve over the logit of the vote, fitted on the examples, each without itself.
 
     Targets are smoothed by the class sizes, so separable votes give finite curves."""
-    shared = Shared(spark, (model, vectors))
+    shared = Shared(spark, model)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            fitted, own = shared.value
-            votes = [vote(fitted["index"], fitted["index"].nearest(own[i], fitted["k"], without=i), fitted["base"]) for i in batch["id"]]
+            fitted = shared.value
+            index = fitted["index"]
+            votes = [vote(index, index.search(*index.vector(i), fitted["k"], without=i), fitted["base"]) for i in batch["id"]]
             yield pd.DataFrame({"id": batch["id"], "vote": votes})
 
-    rows = spark.range(len(vectors)).mapInPandas(run, "id long, vote double").collect()
-    x, y = np.zeros(len(vectors)), model["index"].labels
+    rows = spark.range(len(model["index"].labels)).mapInPandas(run, "id long, vote double").collect()
+    x, y = np.zeros(len(model["index"].labels)), model["index"].labels
     for r in rows:
         x[r["id"]] = _logit(r["vote"])
     n1, n0 = y.sum(), len(y) - y.sum()
@@ -255,15 +319,14 @@ class Scorer:
 
     def _score(self, model: dict, text: str) -> tuple[float, list[int]]:
         number, index = model["number"], model["index"]
-        counts = Counter(_WORD.findall(text.lower()))
-        near = index.nearest(unit({number[w]: c for w, c in counts.items() if w in number}, model["weight"]), model["k"])
-        if not near:
+        near = index.search(*unit_arrays(*known_terms(_WORD.findall(text.lower()), number), model["weight"]), model["k"])
+        if not len(near[0]):
             return model["base"], []
         share = vote(index, near, model["base"])
         if model["curve"] is not None:
             a, b = model["curve"]
             share = float(1 / (1 + np.exp(-np.clip(a * _logit(share) + b, -30, 30))))
-        return share, [int(index.ids[i]) for _, i in near[:3]]
+        return share, index.ids[near[1][:3]].tolist()
 
 
 def score(docs: DataFrame, model: dict) -> DataFrame:
