@@ -193,6 +193,7 @@ def document_frequencies(docs: DataFrame, number: dict[str, int], chunk: int = 8
     kind = "grp long, chunk long, counts binary"
     parts = docs.select("text").mapInPandas(count, kind).groupBy("grp", "chunk").applyInPandas(total, kind)
     rows = sorted(parts.groupBy("chunk").applyInPandas(total, kind).collect(), key=lambda r: r["chunk"])
+    shared.done()
     if not rows:
         return np.zeros(size, np.int64), 0
     found = np.concatenate([np.frombuffer(r["counts"], np.int64) for r in rows])
@@ -273,6 +274,7 @@ def calibrated(spark, model: dict, rounds: int = 50) -> tuple[float, float]:
             yield pd.DataFrame({"id": batch["id"], "vote": votes})
 
     rows = spark.range(len(model["index"].labels)).mapInPandas(run, "id long, vote double").collect()
+    shared.done()
     x, y = np.zeros(len(model["index"].labels)), model["index"].labels
     for r in rows:
         x[r["id"]] = _logit(r["vote"])
