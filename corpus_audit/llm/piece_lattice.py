@@ -339,10 +339,20 @@ def dictionary(docs: DataFrame, pieces: Pieces, most: int) -> dict[str, bytes]:
     """word -> ids as 16-bit or 32-bit numbers, for at most ``most`` words."""
     lattice, kind = Lattice(pieces), _kind(pieces)
     words = written(frequent_words(docs, most), "piece-words")
+    coded = encode_words(words.repartition(2 * docs.sparkSession.sparkContext.defaultParallelism, "word"), pieces)
+    return _packed(coded.select("word", "path").toArrow(), lattice, kind)
+
+
+def _packed(coded: pa.Table, lattice, kind) -> dict[str, bytes]:
+    """The dictionary from word and path; paths stay buffers, as a row object a piece would take many times their size."""
     out = {}
-    for row in encode_words(words.repartition(2 * docs.sparkSession.sparkContext.defaultParallelism, "word"), pieces).toPandas().itertuples(index=False):
-        ids = [i for x in row.path for i in ([x["id"]] if x["id"] >= 0 else lattice.of(row.word[x["s"] : x["e"]]))]
-        out[row.word] = np.array(ids, kind).tobytes()
+    for batch in coded.to_batches(max_chunksize=4_096):
+        path, flat = batch.column("path"), batch.column("path").flatten()
+        cuts = np.r_[0, np.cumsum(np.asarray(path.value_lengths(), np.int64))].tolist()
+        ids, starts, ends = (flat.field(c).to_pylist() for c in ("id", "s", "e"))
+        for word, low, high in zip(batch.column("word").to_pylist(), cuts[:-1], cuts[1:], strict=True):
+            got = [i for n in range(low, high) for i in ([ids[n]] if ids[n] >= 0 else lattice.of(word[starts[n] : ends[n]]))]
+            out[word] = np.array(got, kind).tobytes()
     return out
 
 
