@@ -43,6 +43,19 @@ def predict(model, df: DataFrame, threshold: float = 0.5) -> DataFrame:
     return df.drop("features").join(scored, "sample_id").withColumn("pred", (F.col("score") >= threshold).cast("int"))
 
 
+def predict_each(models: list, df: DataFrame) -> DataFrame:
+    """df without features, with scores: those of all models in their order, from one reading of the features."""
+    scored, columns = df, [c for c in df.columns if c != "features"]
+    for i, model in enumerate(models):
+        scored = model.copy().setPredictionCol("").setRawPredictionCol("").setProbabilityCol(f"_probability_{i}").transform(scored)
+    return scored.select(*columns, F.array(*[vector_to_array(f"_probability_{i}")[1] for i in range(len(models))]).alias("scores"))
+
+
+def predicted_by(scores: DataFrame, i: int, threshold: float = 0.5) -> DataFrame:
+    """Rows of ``predict_each`` with score and pred of the i-th model."""
+    return scores.withColumn("score", F.col("scores")[i]).withColumn("pred", (F.col("score") >= threshold).cast("int")).drop("scores")
+
+
 def weighted_loss(df: DataFrame, weight: float, norm: str = "mean") -> DataFrame:
     """loss: class-weighted cross entropy of score against label; weight 1 is the plain loss."""
     q = F.least(F.greatest(F.col("score"), F.lit(1e-12)), F.lit(1 - 1e-12))
